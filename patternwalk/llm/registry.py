@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import simhash
+from patternwalk.llm import mixing, simhash
 
 
 def queries() -> dict:
-    return {"op10_simhash": simhash.query}
+    return {
+        "op9_mixing": mixing.query,
+        "op10_simhash": simhash.query,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op9_mixing": mixing.ORACLE}
