@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import mixing, simhash
+from patternwalk.llm import mixing, packing, simhash
 
 
 def queries() -> dict:
     return {
+        "op2_packing": packing.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
     }
