@@ -2,16 +2,17 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import mixing, packing, simhash
+from patternwalk.llm import mixing, packing, simhash, topk
 
 
 def queries() -> dict:
     return {
         "op2_packing": packing.query,
+        "op3_topk": topk.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_mixing": mixing.ORACLE}
+    return {"op3_topk": topk.ORACLE, "op9_mixing": mixing.ORACLE}

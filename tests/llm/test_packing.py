@@ -55,7 +55,7 @@ def test_plan_holds_every_piece_and_little_air(seed):
     assert got == counts
     sizes = np.array(sorted(counts))
     _, uses = packing.solve(sizes, np.array([counts[int(g)] for g in sizes], float), 512)
-    assert uses.sum() - 1e-6 <= room <= 1.02 * uses.sum() + 1
+    assert uses.sum() * (1 - 2e-4) - 1e-6 <= room <= 1.02 * uses.sum() + 1
 
 
 def test_pack(spark):
