@@ -18,11 +18,12 @@ A sequence is padded to the capacity, unless its tokens are a power of two.
 Defined results: null and empty texts have only the end id, one piece of length 1.
 Repeated rows are packed each for itself. An empty table gives an empty result.
 Only the id and text columns are read, so extra columns do no harm. A text of any
-length is tokenised as a whole, chunk by chunk at white space, which no token spans.
+length is tokenised as a whole.
 """
 
 from __future__ import annotations
 
+import re
 import zlib
 from collections.abc import Iterator
 from itertools import chain
@@ -40,38 +41,51 @@ GRAIN = 8
 END_ID = 2
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker remembers, and the longest of them.
-MEMO, MEMO_CHARS = 250_000, 40
+MEMO, MEMO_CHARS = 400_000, 40
 _PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 
 
+#: Texts of characters up to U+024F are split here as the vocabulary file's normaliser and pattern would: they are
+#: composed already, and lower case goes character by character. All others go through the tokenizer as a whole.
+_BEYOND = re.compile("[^\x00-\u024f]")
+_LETTER, _NUMBER, _SPACE = "a-z\u00aa\u00b5\u00ba\u00df-\u00f6\u00f8-\u024f", "0-9\u00b2\u00b3\u00b9\u00bc-\u00be", " \\t-\\r\x85\xa0"
+_WORDS = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_NUMBER}]|[^{_SPACE}{_LETTER}{_NUMBER}]+")
+
+
 class WordTokenizer:
-    """The tokenizer's ids as little-endian unsigned 32-bit bytes. White space ends every token, so words are encoded once and remembered."""
+    """The tokenizer's ids as little-endian unsigned 32-bit bytes. No token spans two words, so words are encoded once and remembered."""
 
     def __init__(self, vocabulary: str) -> None:
         import os
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         import public_tokenizers
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         path = vocabulary if "/" in vocabulary else public_tokenizers.path(vocabulary)
-        self.tokenizer = Tokenizer.from_file(str(path))
+        self.whole = Tokenizer.from_file(str(path))
+        self.word = Tokenizer(self.whole.model)
+        self.word.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
         self.memo: dict[str, bytes] = {}
+        self.passed = 0
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        words = [t.replace("\n", " ").split(" ") for t in texts]
-        if len(self.memo) > MEMO:
-            self.memo.clear()
-        memo = self.memo
-        fresh = list(set(chain.from_iterable(words)).difference(memo))
-        passing = {}
+        split = [None if _BEYOND.search(t) or "<|" in t else _WORDS.findall(t.lower()) for t in texts]
+        memo, passing = self.memo, {}
+        if self.passed > 8 * MEMO:
+            memo.clear()
+            self.passed = 0
+        fresh = list(set(chain.from_iterable(filter(None, split))).difference(memo))
         for i in range(0, len(fresh), 4096):
             some = fresh[i : i + 4096]
-            for word, found in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False)):
-                (memo if len(word) <= MEMO_CHARS else passing)[word] = np.array(found.ids, "<u4").tobytes()
-        if not passing:
-            return [b"".join(map(memo.__getitem__, w)) for w in words]
-        return [b"".join([passing[x] if x in passing else memo[x] for x in w]) for w in words]
+            for word, found in zip(some, self.word.encode_batch_fast(some, add_special_tokens=False)):
+                (memo if len(word) <= MEMO_CHARS and len(memo) < MEMO else passing)[word] = np.array(found.ids, "<u4").tobytes()
+        self.passed += len(passing)
+        memo.update(passing)  # for this call
+        out = [np.array(self.whole.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if words is None else b"".join(map(memo.__getitem__, words)) for t, words in zip(texts, split)]
+        for word in passing:
+            del memo[word]
+        return out
 
 
 _LOADED: dict[str, WordTokenizer] = {}
@@ -134,14 +148,15 @@ def solve(sizes: np.ndarray, demand: np.ndarray, room: int, gap: float = 2e-4, r
         value, pattern = best_pattern(sizes, prices, room)
         if value <= 1 + 1e-9 or uses.sum() * (1 - 1 / value) <= gap * uses.sum():
             break
-        column = inverse @ pattern
+        held = np.flatnonzero(pattern)
+        column = (inverse[:, held] * pattern[held]).sum(axis=1)
         up = column > 1e-9
         if not up.any():
             break
         ratio = np.where(up, uses / np.where(up, column, 1.0), np.inf)
         out = int(ratio.argmin())
         basis[:, out] = pattern
-        if step % 100 == 99:
+        if step % 400 == 399:
             inverse = np.linalg.inv(basis)
             uses = np.maximum(inverse @ demand, 0.0)
         else:

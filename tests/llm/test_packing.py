@@ -20,7 +20,7 @@ def reference_ids(text):
 
 
 def test_word_ids_equal_the_tokenizers():
-    texts = ["", " a  b\n\nc", "It's don't 12,345 é ÀÉ x<|endoftext|>y", "tab\there\r\nand  nbsp em", "İstanbul ΣΑΣ ́ combining é", "Hello, World!! " * 50, "x" * 500 + " tail"]
+    texts = ["", " a  b\n\nc", "It's don't 12,345 é ÀÉ x<|endoftext|>y", "tab\there\r\nand  nbsp em", "İstanbul ΣΑΣ ́ combining é", "Hello, World!! " * 50, "x" * 500 + " tail", "a\x1cb\x85c\xa0d", "½²ª_snake_ O'Neill'LL 'tis", "ŉ ǅ Ǆ"]
     own = packing.tokenizer(packing.VOCABULARY).encode(texts)
     assert [np.frombuffer(x, "<u4").tolist() + [2] for x in own] == [reference_ids(t) for t in texts]
 
