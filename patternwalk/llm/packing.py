@@ -8,7 +8,10 @@
    sequence holds) is solved by column generation: a knapsack dynamic program over the
    dual prices finds the best new pattern, until Farley's bound says that the
    program is within ``gap`` of its optimum.
-4. The solution is rounded down; what demand remains is packed largest first.
+4. The solution is rounded down; what demand remains is packed largest piece first,
+   each sequence with the others that fill it best.
+   Where even so over 1 % would be padding, because most pieces exceed half a
+   sequence, rests are cut at halves, quarters or eighths of it and planned again.
 5. Pieces are ranked within their class in a seeded order, and ranks are dealt to
    the slots of the patterns. Ranks come from counts by class and hash bucket plus
    a ``row_number`` within a bucket, so no class is ever sorted in one task.
@@ -25,6 +28,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from itertools import chain
 
@@ -42,7 +46,10 @@ END_ID = 2
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker remembers, and the longest of them.
 MEMO, MEMO_CHARS = 400_000, 40
-_PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
+#: A rest may also be cut at multiples of the capacity halved so often; used only where sequences would hold too much padding without.
+LEVELS = 4
+ENOUGH = 1.01
+_PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, levels long"
 
 
 #: Texts of characters up to U+024F are split here as the vocabulary file's normaliser and pattern would: they are
@@ -97,9 +104,21 @@ def tokenizer(vocabulary: str) -> WordTokenizer:
     return _LOADED[vocabulary]
 
 
+def cut_levels(n: int, capacity: int) -> list[tuple[int, int, int]]:
+    """``(start, length, levels)``: whole sequences at every level, and the rest as level ``k`` cuts it, by ``capacity >> k``."""
+    whole = n // capacity * capacity
+    found: dict[tuple[int, int], int] = {(s, capacity): (1 << LEVELS) - 1 for s in range(0, whole, capacity)}
+    for k in range(LEVELS):
+        step = capacity >> k
+        for s in range(whole, n, step):
+            key = (s, min(step, n - s))
+            found[key] = found.get(key, 0) | 1 << k
+    return [(s, size, levels) for (s, size), levels in found.items()]
+
+
 def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULARY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per piece: ``doc_id, start, length, ids_crc32, doc_tokens``."""
-    schema = pa.schema([(c, pa.int64()) for c in ("doc_id", "start", "length", "ids_crc32", "doc_tokens")])
+    """One row per piece: ``doc_id, start, length, ids_crc32, doc_tokens`` and ``levels``, the cutting levels that have this piece as bits."""
+    schema = pa.schema([(c, pa.int64()) for c in ("doc_id", "start", "length", "ids_crc32", "doc_tokens", "levels")])
     end = END_ID.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -111,8 +130,8 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
                 for doc, ids in zip(batch.column(0).to_pylist(), encode([t or "" for t in batch.column(1).to_pylist()])):
                     ids += end
                     n = len(ids) // 4
-                    rows += [(doc, s, min(capacity, n - s), zlib.crc32(ids[4 * s : 4 * (s + capacity)]), n) for s in range(0, n, capacity)]
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 5, schema=schema)
+                    rows += [(doc, s, size, zlib.crc32(ids[4 * s : 4 * (s + size)]), n, levels) for s, size, levels in cut_levels(n, capacity)]
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 6, schema=schema)
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, _PIECE)
 
@@ -137,7 +156,7 @@ def best_pattern(sizes: np.ndarray, prices: np.ndarray, room: int) -> tuple[floa
     return float(value[room]), count
 
 
-def solve(sizes: np.ndarray, demand: np.ndarray, room: int, gap: float = 2e-4, rounds: int = 4000) -> tuple[np.ndarray, np.ndarray]:
+def solve(sizes: np.ndarray, demand: np.ndarray, room: int, gap: float = 2e-4, rounds: int = 1200) -> tuple[np.ndarray, np.ndarray]:
     """Patterns (a column each) and their fractional uses whose sum is least, by column generation with a revised simplex."""
     n = len(sizes)
     basis = np.diag(room // sizes).astype(np.float64)
@@ -184,10 +203,7 @@ def plan(counts: dict[int, int], room: int) -> list[tuple[int, list[tuple[int, i
             left -= n * columns[:, j]
             out.append((n, [(int(sizes[i]), int(columns[i, j])) for i in held[::-1]]))
     while left.any():
-        free, took = room, np.zeros_like(left)
-        for i in np.flatnonzero(left)[::-1]:
-            took[i] = min(left[i], free // sizes[i])
-            free -= int(took[i] * sizes[i])
+        took = fullest(sizes, left, room)
         held = np.flatnonzero(took)
         n = int((left[held] // took[held]).min())
         left -= n * took
@@ -195,12 +211,52 @@ def plan(counts: dict[int, int], room: int) -> list[tuple[int, list[tuple[int, i
     return out
 
 
+def fullest(sizes: np.ndarray, left: np.ndarray, room: int) -> np.ndarray:
+    """The largest piece left and those others that fill its sequence best: a subset sum with counts."""
+    took = np.zeros_like(left)
+    first = int(np.flatnonzero(left)[-1])
+    took[first] = 1
+    free = room - int(sizes[first])
+    by = np.full(free + 1, -1)  # the class whose piece completed a sum, larger classes first
+    by[0] = len(sizes)
+    for i in np.flatnonzero(left)[::-1]:
+        size, reach = int(sizes[i]), by >= 0
+        for _ in range(min(int(left[i] - took[i]), free // size)):
+            more = np.zeros_like(reach)
+            more[size:] = reach[:-size]
+            more &= by < 0
+            if not more.any():
+                break
+            by[more] = i
+            reach = more
+        if by[free] >= 0:
+            break
+    c = int(np.flatnonzero(by >= 0)[-1])
+    while c > 0:
+        i = int(by[c])
+        took[i] += 1
+        c -= int(sizes[i])
+    return took
+
+
 def pack(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULARY, seed: int = 17, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, sequence_tokens, padded_tokens`` for each piece."""
     spark = docs.sparkSession
     grade = F.ceil(F.col("length") / F.lit(GRAIN)).cast("int")
-    cuts = cut(pieces(docs, capacity, vocabulary, id_col, text_col), "pieces").withColumn("grade", grade).withColumn("place", place("doc_id", seed))
-    counted = {r.grade: r["count"] for r in cuts.groupBy("grade").count().collect()}
+    every = cut(pieces(docs, capacity, vocabulary, id_col, text_col), "pieces").withColumn("grade", grade).withColumn("place", place("doc_id", seed))
+    sums = every.groupBy("grade", "levels").agg(F.count("*").alias("n"), F.sum("length").alias("tokens")).collect()
+    room, best = capacity // GRAIN, None
+    for level in range(LEVELS):
+        own = [r for r in sums if r.levels >> level & 1]
+        counted = dict(sum((Counter({r.grade: r.n}) for r in own), Counter()))
+        found = plan(counted, room)
+        padded = sum(uses for uses, _ in found) * capacity
+        if best is None or padded < 0.99 * best[0]:
+            best = padded, level, counted, found
+        if padded <= ENOUGH * sum(r.tokens for r in own) + capacity:
+            break
+    _, level, counted, patterns = best
+    cuts = every.where(F.col("levels").bitwiseAND(1 << level) != 0)
     # Seeded buckets of about 50,000 pieces of the most common class, at most 512 of them.
     buckets = max(1, min(512, max(counted.values(), default=0) // 50_000))
     bucketed = cuts.withColumn("bucket", (F.col("place") % F.lit(buckets)).cast("int"))
@@ -209,8 +265,8 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULARY
     ranked = bucketed.join(F.broadcast(base), (F.col("grade") == F.col("g")) & (F.col("bucket") == F.col("b"))).withColumn("rank", F.col("base") + F.row_number().over(order) - 1)
 
     # The slots: from which rank on a class's pieces go to which pattern.
-    room, at, first_rank, slots = capacity // GRAIN, 0, dict.fromkeys(counted, 0), []
-    for uses, held in plan(counted, room):
+    at, first_rank, slots = 0, dict.fromkeys(counted, 0), []
+    for uses, held in patterns:
         before = 0
         for g, each in held:
             slots.append((g << 44 | first_rank[g], at, each, before))
