@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import mixing, packing, simhash, topk
+from patternwalk.llm import langid, mixing, packing, simhash, topk
 
 
 def queries() -> dict:
     return {
         "op2_packing": packing.query,
         "op3_topk": topk.query,
+        "op5_langid": langid.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
     }
