@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import langid, mixing, packing, simhash, topk
+from patternwalk.llm import langid, mixing, packing, quality, simhash, topk
 
 
 def queries() -> dict:
     return {
+        "op1_quality": quality.query,
         "op2_packing": packing.query,
         "op3_topk": topk.query,
         "op5_langid": langid.query,
