@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import langid, mixing, packing, quality, simhash, topk
+from patternwalk.llm import html_text, langid, mixing, packing, quality, simhash, topk
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_quality": quality.query,
         "op2_packing": packing.query,
         "op3_topk": topk.query,
+        "op4_html": html_text.query,
         "op5_langid": langid.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
