@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import html_text, langid, mixing, packing, quality, simhash, topk
+from patternwalk.llm import html_text, langid, mixing, packing, progressive, quality, simhash, topk
 
 
 def queries() -> dict:
@@ -12,6 +12,7 @@ def queries() -> dict:
         "op3_topk": topk.query,
         "op4_html": html_text.query,
         "op5_langid": langid.query,
+        "op6_progressive": progressive.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
     }
