@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import html_text, langid, mixing, packing, progressive, quality, simhash, topk
+from patternwalk.llm import html_text, langid, line_dedup, mixing, packing, progressive, quality, simhash, topk
 
 
 def queries() -> dict:
@@ -13,10 +13,11 @@ def queries() -> dict:
         "op4_html": html_text.query,
         "op5_langid": langid.query,
         "op6_progressive": progressive.query,
+        "op8_line_dedup": line_dedup.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_topk": topk.ORACLE, "op9_mixing": mixing.ORACLE}
+    return {"op8_line_dedup": line_dedup.ORACLE, "op3_topk": topk.ORACLE, "op9_mixing": mixing.ORACLE}
