@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from patternwalk.llm import html_text, langid, line_dedup, mixing, packing, progressive, quality, simhash, topk
+from patternwalk.llm import html_text, langid, licences, line_dedup, mixing, packing, progressive, quality, simhash, topk
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op4_html": html_text.query,
         "op5_langid": langid.query,
         "op6_progressive": progressive.query,
+        "op7_licences": licences.query,
         "op8_line_dedup": line_dedup.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
@@ -20,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_line_dedup": line_dedup.ORACLE, "op3_topk": topk.ORACLE, "op9_mixing": mixing.ORACLE}
+    return {"op7_licences": licences.ORACLE, "op8_line_dedup": line_dedup.ORACLE, "op3_topk": topk.ORACLE, "op9_mixing": mixing.ORACLE}
