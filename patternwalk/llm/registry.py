@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
 from patternwalk.llm import html_text, langid, licences, line_dedup, mixing, packing, progressive, quality, simhash, topk
 
 
@@ -17,8 +18,14 @@ def queries() -> dict:
         "op8_line_dedup": line_dedup.query,
         "op9_mixing": mixing.query,
         "op10_simhash": simhash.query,
+        "pipeline": corpus_pipeline.run,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_licences": licences.ORACLE, "op8_line_dedup": line_dedup.ORACLE, "op3_topk": topk.ORACLE, "op9_mixing": mixing.ORACLE}
+    return {
+        "op3_topk": topk.ORACLE,
+        "op7_licences": licences.ORACLE,
+        "op8_line_dedup": line_dedup.ORACLE,
+        "op9_mixing": mixing.ORACLE,
+    }
