@@ -35,9 +35,9 @@ def enumerate_induced(db: GraphDB, p: int, engine: str = "sql") -> DataFrame:
                     for s in g.enumerate(p):
                         out.append([g.vids[v] for v in bits(s)])
                         if len(out) == 50_000:
-                            yield pd.DataFrame({"gid": row.gid, "vs": out})
+                            yield pd.DataFrame({"gid": row.gid, "vs": pd.Series(out, dtype=object)})
                             out = []
-                    yield pd.DataFrame({"gid": [row.gid] * len(out), "vs": out})
+                    yield pd.DataFrame({"gid": [row.gid] * len(out), "vs": pd.Series(out, dtype=object)})
 
         return pack(db).mapInPandas(run, "gid long, vs array<long>")
     if p == 1:
@@ -99,7 +99,7 @@ def ground_truth(db: GraphDB, p: int, induced: bool = True, types: DataFrame | N
                         merged[code][0] += x[0]
                     else:
                         merged[code] = x
-                yield pd.DataFrame([(code, row.gid, *x) for code, x in merged.items()], columns=["code", "gid", "n", "s1_num", "s1_den", "s2"])
+                yield pd.DataFrame([(code, row.gid, *x) for code, x in merged.items()], columns=["code", "gid", "n", "s1_num", "s1_den", "s2"], dtype=object)
 
     per = pack(db, types).mapInPandas(run, "code string, gid long, n long, s1_num long, s1_den long, s2 long")
     out = per.groupBy("code").agg(F.count("*").alias("support"), F.sum("n").alias("embeddings"), F.first("s1_num").alias("s1_num"), F.first("s1_den").alias("s1_den"), F.first("s2").alias("s2"))

@@ -166,7 +166,7 @@ def replay_queue(samples: DataFrame, policy: QueuePolicy, by: tuple[str, ...] =
         frame = frame.sort_values("iter", kind="stable")
         for raw, gid, score, i in zip(frame["name"], frame["gid"], frame["score"], frame["iter"]):
             queue.offer((lambda raw=raw: dfs_code(raw)) if codes == "lazy" else (lambda raw=raw: raw), int(gid), float(score), int(i))
-        rows = pd.DataFrame(queue.rows(), columns=["code", "exp_support", "score", "last_time", "idset"])
+        rows = pd.DataFrame(queue.rows(), columns=["code", "exp_support", "score", "last_time", "idset"], dtype=object)
         for c, v in zip(by, key):
             rows.insert(0, c, v)
         rows["gated"], rows["evicted"], rows["coded"] = queue.gated, queue.evicted, queue.coded
@@ -221,7 +221,7 @@ def sharded_queue(samples: DataFrame, policy: QueuePolicy, shards: int = 8, epoc
         new = new.sort_values(["iter", "gid"], kind="stable")
         for code, gid, score, i in zip(new["code"], new["gid"], new["score"], new["iter"]):
             queue.offer(lambda code=code: code, int(gid), float(score), int(i))
-        out = pd.DataFrame(queue.rows(), columns=["code", "exp_support", "score", "last_time", "idset"])
+        out = pd.DataFrame(queue.rows(), columns=["code", "exp_support", "score", "last_time", "idset"], dtype=object)
         out.insert(0, "shard", int(key[0]))
         out["tail"], out["n"] = queue.order.tail_mean() if queue.full else None, len(queue.entries)
         return out

@@ -91,9 +91,9 @@ def _walk(packed_visits: DataFrame, p: int, scores: Scores, seed: int, induced:
                         out.append((row.chain, int(i), row.gid, [g.vids[v] for v in bits(walk.state)], len(walk.pairs), g.raw(walk.state, walk.pairs), num, den, num / den, walk.degree, tried))
                 ends.append((row.chain, row.gid, [g.vids[v] for v in bits(walk.state)], [{"a": g.vids[a], "b": g.vids[b]} for a, b in sorted(walk.pairs)], walk.attempts))
             if what == "samples":
-                yield pd.DataFrame(out, columns=[c.split()[0] for c in SAMPLES.split(", ")])
+                yield pd.DataFrame(out, columns=[c.split()[0] for c in SAMPLES.split(", ")], dtype=object)
             else:
-                yield pd.DataFrame(ends, columns=["chain", "gid", "vs", "es", "attempts"])
+                yield pd.DataFrame(ends, columns=["chain", "gid", "vs", "es", "attempts"], dtype=object)
 
     return packed_visits.mapInPandas(run, SAMPLES if what == "samples" else STATE)
 

@@ -171,7 +171,7 @@ def dom_tree(spark: SparkSession, sf_dir: str) -> GraphDB:
                     out.append((gid, n, name, open_[-1][0]))
                     if name not in _VOID and not m[1]:
                         open_.append((n, name))
-            yield pd.DataFrame(out, columns=["gid", "vid", "vlabel", "up"])
+            yield pd.DataFrame(out, columns=["gid", "vid", "vlabel", "up"], dtype=object)
 
     rows = table(spark, sf_dir, "pages").select(F.col("page_id").alias("gid"), "html").mapInPandas(run, "gid long, vid long, vlabel string, up long")
     return GraphDB(rows.select("gid", "vid", "vlabel"), rows.where("up >= 0").select("gid", F.col("up").alias("src"), F.col("vid").alias("dst"), F.lit("child").alias("elabel")))
