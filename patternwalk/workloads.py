@@ -1,14 +1,552 @@
-"""Registered queries and their SQL twins."""
+"""Registered queries: methods, measures and experiments on the given tables, and their SQL twins."""
 
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from patternwalk.functions import accuracy as A
+from patternwalk.functions.rng import uniform_column
+from patternwalk.model import GraphDB, components, frequent, stats, validate
+from patternwalk.operators import complete as B
+from patternwalk.operators import enumerate as E
+from patternwalk.operators import law as L
+from patternwalk.operators import queue as Q
+from patternwalk.operators import sampler as W
+from patternwalk.operators import support as S
+from patternwalk.operators.canon import with_code
+from patternwalk.operators.mine import mine_sizes, mine_top_k, ranked
+from patternwalk.plans import oracles as O
+from patternwalk.sources import builders
+from patternwalk.sources.tables import table
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
+Query = Callable[[SparkSession, str], DataFrame]
+
+
+def register(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
+    def add(f: Query) -> Query:
+        QUERIES[name] = f
+        if oracle is not None:
+            ORACLES[name] = oracle
+        return f
+
+    return add
+
+
+def prox(spark: SparkSession, sf_dir: str, alphabet: str = "coarse") -> GraphDB:
+    return builders.proximity(spark, sf_dir, alphabet)
+
+
+def first_users(db: GraphDB, below: int) -> GraphDB:
+    return GraphDB(db.vertices.where(F.col("gid") < below), db.edges.where(F.col("gid") < below))
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    return mine_top_k(prox(spark, sf_dir).stored(), 3, k=20, m=3000, score="s2")
+
+
+joined = lambda c: F.concat_ws(",", F.transform(c, lambda x: x.cast("string")))
+PX = O.proximity("coarse")
+LIST = "array_to_string(vs, ',') AS vs"
+
+# Databases and their statistics
+_STATS = {
+    **{f"proximity_{a}": (lambda s, d, a=a: builders.proximity(s, d, a), O.proximity(a)) for a in ("fine", "coarse", "skewed")},
+    "order_star": (builders.order_star, O.STAR),
+    "dialogue": (builders.dialogue, O.DIALOGUE),
+    "token_adj": (builders.token_adj, O.tokens("documents", "doc_id", "doc_id < 1000")),
+    "probe": (builders.probe, O.tokens("benchmark", "item_id")),
+    "vector_radius": (builders.vector_radius, f"{O.VECTOR},{O.LARGEST}"),
+    "copurchase": (builders.copurchase, f"{O.COPURCHASE},{O.LARGEST}"),
+    "dom_tree": (builders.dom_tree, None),
+    "two_class": (builders.two_class, None),
+    "synthetic": (lambda s, d: builders.synthetic(s, 20, 60), None),
+}
+for _name, (_build, _sql) in _STATS.items():
+    recursive = "WITH RECURSIVE" if _sql and "reach AS" in _sql else "WITH"
+    register(f"db_stats_{_name}", _sql and f"{recursive} {_sql} {O.STATS}")(lambda s, d, f=_build: stats(f(s, d)))
+
+
+@register("validate_proximity", f"WITH {PX} SELECT gid, 'x' AS rule, 0::BIGINT AS n FROM e WHERE src >= dst")
+def _(spark, sf_dir):
+    return validate(prox(spark, sf_dir))
+
+
+@register("components_vector_radius")
+def _(spark, sf_dir):
+    return components(builders.vector_radius(spark, sf_dir)).groupBy("gid", "comp").agg(F.count("*").alias("n"))
+
+
+# Edge supports and scores
+for _a in ("coarse", "fine", "skewed"):
+    register(f"edge_support_{_a}", f"WITH {O.proximity(_a)}, {O.TYPES} SELECT etype::INT AS etype, la, el, lb, support FROM ty")(lambda s, d, a=_a: S.edge_support(prox(s, d, a)))
+
+
+@register("edge_support_sets", f"WITH {PX}, {O.TYPES}, d AS (SELECT DISTINCT la, el, lb, gid FROM te) SELECT la, el, lb, count(*) AS support, string_agg(gid::VARCHAR, ',' ORDER BY gid) AS tids FROM d GROUP BY la, el, lb")
+def _(spark, sf_dir):
+    return S.edge_support(prox(spark, sf_dir), sets=True).select("la", "el", "lb", "support", joined("tids").alias("tids"))
+
+
+@register("edge_support_order_star", f"WITH {O.STAR}, {O.TYPES} SELECT etype::INT AS etype, la, el, lb, support FROM ty")
+def _(spark, sf_dir):
+    return S.edge_support(builders.order_star(spark, sf_dir))
+
+
+_P3 = f"WITH {PX}, {O.pieces(3)}"
+_SMALL = f"WITH {O.proximity('coarse', 'user_id < 8')}, {O.pieces(3)}, {O.TYPES}, {O.scores(3)}"
+
+
+@register("score_s1_p3", f"{_SMALL} SELECT gid, {LIST}, s1_num, s1_den, s1 FROM s1s")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 8)
+    rows = S.piece_types(db, E.enumerate_induced(db, 3), S.edge_support(db))
+    return S.score_s1(rows, ["gid", "vs"]).withColumn("vs", joined("vs"))
+
+
+@register("score_s2_p3", f"{_SMALL} SELECT gid, {LIST}, s2 FROM s2s")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 8)
+    types = S.edge_support(db, sets=True)
+    return S.score_s2(S.piece_types(db, E.enumerate_induced(db, 3), types), types, ["gid", "vs"]).withColumn("vs", joined("vs"))
+
+
+@register("score_s2_min_bound", f"{_SMALL} SELECT gid, {LIST}, min(support) AS s2 FROM pe GROUP BY gid, pe.vs")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 8)
+    types = S.edge_support(db)
+    return S.score_s2(S.piece_types(db, E.enumerate_induced(db, 3), types), types, ["gid", "vs"], "min_bound").withColumn("vs", joined("vs"))
+
+
+# Enumeration and truth
+@register("pieces_p3_count", f"{_P3} SELECT gid, count(*) AS n FROM s3 GROUP BY gid")
+def _(spark, sf_dir):
+    return E.enumerate_induced(prox(spark, sf_dir), 3).groupBy("gid").agg(F.count("*").alias("n"))
+
+
+@register("pieces_p4_kernel_count", f"WITH {PX}, {O.pieces(4)} SELECT gid, count(*) AS n FROM s4 GROUP BY gid")
+def _(spark, sf_dir):
+    return E.space_size(prox(spark, sf_dir), 4)
+
+
+@register("space_growth", f"WITH {PX}, {O.pieces(4)} SELECT 2 AS p, count(*)::BIGINT AS pieces FROM s2 UNION ALL SELECT 3, count(*) FROM s3 UNION ALL SELECT 4, count(*) FROM s4")
+def _(spark, sf_dir):
+    return E.space_growth(prox(spark, sf_dir), [2, 3, 4])
+
+
+@register("space_estimate_p5")
+def _(spark, sf_dir):
+    return E.space_estimate(prox(spark, sf_dir), 5, samples=50)
+
+
+for _a in ("coarse", "skewed"):
+    for _p in (3, 4):
+        if _p == 3 or _a == "coarse":
+            register(f"pattern_support_p{_p}_{_a}", f"WITH {O.proximity(_a)}, {O.pieces(_p)}, {O.codes(_p)}, {O.SUPPORT} SELECT code, support, embeddings FROM su")(
+                lambda s, d, a=_a, p=_p: E.support_sets(E.piece_codes(db := prox(s, d, a), E.enumerate_induced(db, p), p))
+            )
+
+
+@register("ground_truth_p3", f"{_P3}, {O.codes(3)}, {O.SUPPORT} SELECT count(*) AS patterns, sum(support)::BIGINT AS supports, sum(embeddings)::BIGINT AS pieces, max(support) AS top FROM su")
+def _(spark, sf_dir):
+    return E.ground_truth(prox(spark, sf_dir), 3).agg(F.count("*").alias("patterns"), F.sum("support").alias("supports"), F.sum("embeddings").alias("pieces"), F.max("support").alias("top"))
+
+
+@register("bounds_p3", "SELECT ''::VARCHAR AS code WHERE false")
+def _(spark, sf_dir):
+    return A.bound_violations(E.ground_truth(prox(spark, sf_dir), 3))
+
+
+@register("induced_below_plain_p3", "SELECT ''::VARCHAR AS code, 0::BIGINT AS support_plain, 0::BIGINT AS support_induced WHERE false")
+def _(spark, sf_dir):
+    return E.support_both(first_users(prox(spark, sf_dir), 15), 3).where("support_induced > support_plain")
+
+
+@register("frequent_p3_minsup", f"{_P3}, {O.codes(3)}, {O.SUPPORT} SELECT code, support FROM su WHERE support >= ceil(0.4 * (SELECT count(DISTINCT gid) FROM v))")
+def _(spark, sf_dir):
+    db = prox(spark, sf_dir)
+    found = E.support_sets(E.piece_codes(db, E.enumerate_induced(db, 3), 3))
+    return frequent(found, 0.4, db.vertices.select("gid").distinct().count()).select("code", "support")
+
+
+# The law of the walk
+@register("neighbour_degree_p3", f"{_SMALL}, {O.law(3, 'uniform')} SELECT gid, {LIST}, d FROM dg")
+def _(spark, sf_dir):
+    return L.degrees(first_users(prox(spark, sf_dir), 8), 3).where("d > 0").withColumn("vs", joined("vs"))
+
+
+@register("swap_boxes_p3", f"{_SMALL}, {O.law(3, 'uniform')}, g AS (SELECT gid, vs, list_filter(vs, lambda y: NOT list_contains(ws, y))[1] AS u, list_filter(ws, lambda y: NOT list_contains(vs, y))[1] AS w FROM nb) SELECT gid, {LIST}, u, string_agg(w::VARCHAR, ',' ORDER BY w) AS box FROM g GROUP BY gid, g.vs, u")
+def _(spark, sf_dir):
+    return L.swap_boxes(first_users(prox(spark, sf_dir), 8), 3).select("gid", joined("vs").alias("vs"), "u", joined("box").alias("box"))
+
+
+for _s in ("uniform", "s1", "s2"):
+    register(f"acceptance_p3_{_s}", f"{_SMALL}, {O.law(3, _s)} SELECT gid, array_to_string(vs, ',') AS vs, array_to_string(ws, ',') AS ws, alpha FROM tr")(
+        lambda s, d, v=_s: L.transition_table(first_users(prox(s, d), 8), 3, v).select("gid", joined("vs").alias("vs"), joined("ws").alias("ws"), "alpha")
+    )
+
+
+@register("acceptance_rate_p3", f"{_SMALL}, {O.law(3, 's2')} SELECT gid, round(sum(alpha / d) / count(DISTINCT vs), 9) AS rate FROM tr GROUP BY gid")
+def _(spark, sf_dir):
+    t = L.transition_table(first_users(prox(spark, sf_dir), 8), 3)
+    return t.groupBy("gid").agg(F.round(F.sum("prob") / F.count_distinct("vs"), 9).alias("rate"))
+
+
+@register("balance_residual_p3", "SELECT true AS balanced")
+def _(spark, sf_dir):
+    return L.balance_residual(first_users(prox(spark, sf_dir), 8), 3).select((F.col("residual") < 1e-12).alias("balanced"))
+
+
+@register("jump_law_p3", f"{_SMALL}, {O.law(3, 's2')}, a AS (SELECT gid, vs, any_value(num) * sum(alpha / d) AS w FROM tr GROUP BY gid, vs), z AS (SELECT gid, sum(w) AS z FROM a GROUP BY gid) SELECT gid, {LIST}, round(w / z, 9) AS pi FROM a JOIN z USING (gid)")
+def _(spark, sf_dir):
+    return L.stationary(first_users(prox(spark, sf_dir), 8), 3, "s2", "accepted").select("gid", joined("vs").alias("vs"), F.round("pi", 9).alias("pi"))
+
+
+@register("asymmetric_pairs_p3", "SELECT 0::BIGINT AS gid, '' AS vs WHERE false")
+def _(spark, sf_dir):
+    return L.asymmetric_pairs(first_users(prox(spark, sf_dir), 8), 3).select("gid", joined("vs").alias("vs"))
+
+
+@register("unreached_p3", "SELECT 0::BIGINT AS gid, 0::BIGINT AS parts WHERE false")
+def _(spark, sf_dir):
+    return L.unreached(first_users(prox(spark, sf_dir), 8), 3)
+
+
+# Schedules, walks, queues
+_EL = "el AS (SELECT gid, row_number() OVER (ORDER BY gid) - 1 AS place FROM (SELECT gid FROM v GROUP BY gid HAVING count(*) >= 3) SEMI JOIN e USING (gid))"
+
+
+@register("schedule_counter", f"WITH {PX}, {_EL}, {O.schedule(2000, 7, 2)} SELECT chain, gid, count(*) AS n, min(iter) AS first, max(iter) AS last FROM sd GROUP BY chain, gid")
+def _(spark, sf_dir):
+    s = W.schedule(W.eligible(prox(spark, sf_dir), 3), 2000, seed=7, chains=2)
+    return s.select("chain", "gid", F.size("iters").cast("long").alias("n"), F.array_min("iters").alias("first"), F.array_max("iters").alias("last"))
+
+
+@register("schedule_multinomial")
+def _(spark, sf_dir):
+    return W.schedule(W.eligible(prox(spark, sf_dir), 3), 2000, mode="multinomial").select("gid", F.size("iters").alias("n"))
+
+
+#: The walk itself in SQL: first states and moves by the same counters, over the transition table.
+_WALK = f"""
+WITH RECURSIVE {O.proximity('coarse', 'user_id < 8')}, {O.pieces(3)}, {O.TYPES}, {O.scores(3)}, {O.law(3, 's2')}, {_EL}, {O.schedule(60, 0, 1)},
+visits AS (SELECT gid, iter, row_number() OVER (PARTITION BY gid ORDER BY iter) - 1 AS k FROM sd),
+le AS (SELECT gid, src, dst, row_number() OVER (PARTITION BY gid ORDER BY src, dst) - 1 AS i, count(*) OVER (PARTITION BY gid) AS m FROM e),
+s0 AS (SELECT gid, src, dst FROM le WHERE i = floor({O.uniform("'0'", "'0'", "gid::VARCHAR", "'0'", "'0'")} * m)),
+fr AS (SELECT s0.gid, src, dst, b, row_number() OVER (PARTITION BY s0.gid ORDER BY b) - 1 AS i, count(*) OVER (PARTITION BY s0.gid) AS m FROM s0 JOIN (SELECT DISTINCT s0.gid, b FROM s0 JOIN sym ON sym.gid = s0.gid AND sym.a IN (src, dst) WHERE b NOT IN (src, dst)) n ON n.gid = s0.gid),
+st AS (SELECT gid, list_sort([src, dst, b]) AS vs FROM fr WHERE i = floor({O.uniform("'0'", "'0'", "gid::VARCHAR", "'0'", "'1'")} * m)),
+mv AS (SELECT gid, vs, ws, alpha, d, row_number() OVER (PARTITION BY gid, vs ORDER BY list_filter(vs, lambda y: NOT list_contains(ws, y))[1], list_filter(ws, lambda y: NOT list_contains(vs, y))[1]) - 1 AS i FROM tr),
+walk AS (SELECT gid, vs, 0 AS attempt, 0 AS k FROM st
+  UNION ALL
+  SELECT w.gid, CASE WHEN {O.uniform("'0'", "'0'", "w.gid::VARCHAR", "(w.attempt + 1)::VARCHAR", "'1'")} <= m.alpha THEN m.ws ELSE w.vs END, w.attempt + 1,
+         w.k + CASE WHEN {O.uniform("'0'", "'0'", "w.gid::VARCHAR", "(w.attempt + 1)::VARCHAR", "'1'")} <= m.alpha THEN 1 ELSE 0 END
+  FROM walk w JOIN mv m ON m.gid = w.gid AND m.vs = w.vs AND m.i = floor({O.uniform("'0'", "'0'", "w.gid::VARCHAR", "(w.attempt + 1)::VARCHAR", "'0'")} * m.d)
+  WHERE w.k < 40),
+seen AS (SELECT gid, k, any_value(vs) AS vs, min(attempt) AS attempt FROM walk GROUP BY gid, k),
+smp AS (SELECT iter, visits.gid, seen.vs FROM visits JOIN seen USING (gid, k))"""
+
+
+@register("walk_p3_samples", f"{_WALK} SELECT iter, gid, {LIST} FROM smp")
+def _(spark, sf_dir):
+    return W.run_walks(first_users(prox(spark, sf_dir), 8), 3, 60).select("iter", "gid", joined("vs").alias("vs"))
+
+
+@register("expected_support_p3", f"{_WALK}, {O.codes(3)}, t0 AS (SELECT code, smp.gid, min(iter) AS t FROM smp JOIN cd ON cd.gid = smp.gid AND cd.vs = smp.vs GROUP BY code, smp.gid) SELECT code, count(*)::INT AS exp_support, max(t) AS last_time FROM t0 GROUP BY code")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 8)
+    samples = W.run_walks(db, 3, 60)
+    coded = samples.join(E.piece_codes(db, samples.select("gid", "vs").distinct(), 3), ["gid", "vs"])
+    return Q.expected_support(coded).select("code", "exp_support", "last_time")
+
+
+@register("walk_stats_lazy")
+def _(spark, sf_dir):
+    return W.walk_stats(W.run_walks(prox(spark, sf_dir).stored(), 3, 2000, emit="lazy"))
+
+
+@register("walk_plain_p4")
+def _(spark, sf_dir):
+    return W.walk_stats(W.run_walks(prox(spark, sf_dir).stored(), 4, 300, induced=False))
+
+
+for _s in ("uniform", "s1", "s2"):
+    register(f"mine_top_k_{_s}")(lambda s, d, v=_s: mine_top_k(prox(s, d).stored(), 3, k=100, m=3000, score=v))
+
+
+@register("mine_bounded_queue")
+def _(spark, sf_dir):
+    return mine_top_k(prox(spark, sf_dir).stored(), 3, k=100, m=3000, queue=Q.QueuePolicy(200))
+
+
+@register("mine_sharded_queue")
+def _(spark, sf_dir):
+    return mine_top_k(prox(spark, sf_dir).stored(), 3, k=100, m=3000, queue=Q.QueuePolicy(200), shards=4)
+
+
+@register("mine_plain")
+def _(spark, sf_dir):
+    return mine_top_k(prox(spark, sf_dir).stored(), 3, k=100, m=1000, induced=False)
+
+
+@register("mine_sizes")
+def _(spark, sf_dir):
+    return mine_sizes(prox(spark, sf_dir).stored(), [2, 3, 4], k=20, m=1000)
+
+
+@register("queue_exact_equals_lossless", "SELECT '' AS code WHERE false")
+def _(spark, sf_dir):
+    s = W.run_walks(prox(spark, sf_dir).stored(), 3, 2000)
+    cols = ["code", "exp_support", "score", "last_time"]
+    a, b = Q.replay_queue(s, Q.QueuePolicy(1_000_000, "off")).select(*cols), Q.lossless_queue(s).select(*cols)
+    return a.exceptAll(b).unionByName(b.exceptAll(a)).select("code")
+
+
+@register("sketch_queue")
+def _(spark, sf_dir):
+    return Q.sketch_queue(W.run_walks(prox(spark, sf_dir).stored(), 3, 2000)).orderBy(F.desc("exp_support"), "code").limit(50)
+
+
+@register("merge_queues_of_chains")
+def _(spark, sf_dir):
+    q = Q.replay_queue(W.run_walks(prox(spark, sf_dir).stored(), 3, 1000, chains=2), Q.QueuePolicy(10_000))
+    return Q.merge_queues(q.where("chain = 0"), q.where("chain = 1")).select("code", "exp_support", "score", "last_time")
+
+
+@register("queue_stats")
+def _(spark, sf_dir):
+    return Q.queue_stats(Q.replay_queue(W.run_walks(prox(spark, sf_dir).stored(), 3, 2000), Q.QueuePolicy(200)))
+
+
+# Measures on deterministic inputs: a mined side is stood in for by a hash order that SQL knows
+_MEASURE = f"""{_P3}, {O.codes(3)}, {O.SUPPORT},
+tt AS (SELECT code, support, row_number() OVER (ORDER BY support DESC, code) AS tr FROM su),
+ff AS (SELECT code, support % 7 + 1 AS exp_support, row_number() OVER (ORDER BY support % 7 DESC, code) AS qr FROM su)"""
+
+
+def _sides(spark, sf_dir):
+    db = prox(spark, sf_dir)
+    truth = E.support_sets(E.piece_codes(db, E.enumerate_induced(db, 3), 3))
+    found = truth.select("code", (F.col("support") % 7 + 1).cast("int").alias("exp_support"), F.lit(0.0).alias("score"), F.lit(0).cast("long").alias("last_time"))
+    return truth, found
+
+
+@register("precision_at_k", f"{_MEASURE} SELECT 100 AS k, count(*) AS hits, count(*) * 100.0::DOUBLE / 100 AS precision FROM tt JOIN ff USING (code) WHERE tr <= 100 AND qr <= 100")
+def _(spark, sf_dir):
+    truth, found = _sides(spark, sf_dir)
+    return A.precision_at_k(truth, found.orderBy(F.desc("exp_support"), "code").limit(100), 100)
+
+
+@register("precision_curve", f"{_MEASURE} SELECT k, count(code) AS hits, count(code) * 100.0::DOUBLE / k AS precision FROM (VALUES (50), (100), (200)) ks(k) LEFT JOIN (SELECT code, tr, qr FROM tt JOIN ff USING (code)) ON tr <= k AND qr <= k GROUP BY k")
+def _(spark, sf_dir):
+    return A.precision_curve(*_sides(spark, sf_dir), [50, 100, 200])
+
+
+@register("kendall_tau_b", f"""{_MEASURE}, uu AS (SELECT code, support, CASE WHEN qr <= 100 THEN exp_support ELSE 0 END AS x FROM tt JOIN ff USING (code) WHERE tr <= 100 OR qr <= 100),
+ pp AS (SELECT sign(a.support - b.support) * sign(a.x - b.x) AS s, a.support <> b.support AS nx, a.x <> b.x AS ny FROM uu a JOIN uu b ON a.code < b.code)
+ SELECT sum((s > 0)::INT)::BIGINT AS concordant, sum((s < 0)::INT)::BIGINT AS discordant, round((sum((s > 0)::INT) - sum((s < 0)::INT)) / sqrt(sum(nx::INT)::DOUBLE * sum(ny::INT)), 9) AS tau_b FROM pp""")
+def _(spark, sf_dir):
+    truth, found = _sides(spark, sf_dir)
+    u = A.union_for_tau(truth, found.orderBy(F.desc("exp_support"), "code").limit(100), 100)
+    return A.kendall_tau_b(u, "support", "exp_support").withColumn("tau_b", F.round("tau_b", 9))
+
+
+@register("chain_jaccard", "WITH o AS (SELECT DISTINCT user_id % 5 AS chain, floor(value)::BIGINT AS code FROM events), n AS (SELECT chain, count(*) AS n FROM o GROUP BY chain), s AS (SELECT a.chain AS a, b.chain AS b, count(*) AS c FROM o a JOIN o b ON a.code = b.code AND a.chain < b.chain GROUP BY ALL) SELECT count(*) AS pairs, round(avg(1 - coalesce(c, 0) / (x.n + y.n - coalesce(c, 0))), 9) AS distance FROM n x JOIN n y ON x.chain < y.chain LEFT JOIN s ON s.a = x.chain AND s.b = y.chain")
+def _(spark, sf_dir):
+    e = table(spark, sf_dir, "events").select((F.col("user_id") % 5).alias("chain"), F.floor("value").alias("code"))
+    return A.chain_jaccard(e).withColumn("distance", F.round("distance", 9))
+
+
+@register("gelman_rubin", "WITH p AS (SELECT user_id % 5 AS c, avg(value) AS m, var_samp(value) AS v, count(*) AS n FROM events GROUP BY c), q AS (SELECT avg(v) AS w, var_samp(m) AS b, avg(n) AS n, count(*) AS chains FROM p) SELECT chains, round(w, 6) AS w, round(b, 6) AS b_over_n, round(sqrt(((n - 1) / n * w + b) / w), 9) AS r_hat FROM q")
+def _(spark, sf_dir):
+    e = table(spark, sf_dir, "events").select((F.col("user_id") % 5).alias("chain"), "value")
+    return A.gelman_rubin(e, "value").select("chains", F.round("w", 6).alias("w"), F.round("b_over_n", 6).alias("b_over_n"), F.round("r_hat", 9).alias("r_hat"))
+
+
+@register("score_correlation_p3")
+def _(spark, sf_dir):
+    return reduce(DataFrame.unionByName, [A.score_correlation(E.ground_truth(prox(spark, sf_dir, a), 3)).withColumn("alphabet", F.lit(a)) for a in ("coarse", "skewed")])
+
+
+@register("false_positive_rate_p3")
+def _(spark, sf_dir):
+    return A.false_positive_rate(E.ground_truth(prox(spark, sf_dir), 3), "s2", 100.0, 20)
+
+
+# Baselines
+@register("blind_sample_p3", f"{_P3} SELECT gid, {LIST} FROM s3 ORDER BY {O.uniform(chr(39) + '0' + chr(39), 'gid::VARCHAR', 'array_to_string(s3.vs, chr(44))')}, gid LIMIT 500")
+def _(spark, sf_dir):
+    return B.blind_sample(prox(spark, sf_dir), 3, 500).select("gid", joined("vs").alias("vs"))
+
+
+@register("direct_sample_p3")
+def _(spark, sf_dir):
+    return B.direct_sample(prox(spark, sf_dir), 3).select("gid", joined("vs").alias("vs"))
+
+
+@register("complete_one_edge", f"WITH {PX}, {O.TYPES} SELECT '0,1,' || la || ',' || el || ',' || lb AS code, 2 AS n_vertices, 1 AS n_edges, support FROM ty WHERE support >= ceil(0.4 * (SELECT count(DISTINCT gid) FROM v))")
+def _(spark, sf_dir):
+    return B.mine_complete(prox(spark, sf_dir).stored(), 0.4, max_edges=1)
+
+
+for _k in ("growth", "levelwise"):
+    register(f"complete_{_k}")(lambda s, d, k=_k: B.mine_complete(first_users(prox(s, d), 15).stored(), 0.8, max_size=3, strategy=k))
+
+
+@register("complete_maximal")
+def _(spark, sf_dir):
+    return B.maximal(B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.8, max_size=3))
+
+
+@register("complete_closed")
+def _(spark, sf_dir):
+    return B.closed(B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.8, max_size=3))
+
+
+@register("complete_induced")
+def _(spark, sf_dir):
+    return B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.6, max_size=4, induced=True)
+
+
+@register("complete_stopped")
+def _(spark, sf_dir):
+    return B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.8, max_size=3, stop_after=20)
+
+
+@register("pattern_lattice_walk")
+def _(spark, sf_dir):
+    return B.pattern_walk(B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.9, max_size=3), 500)
+
+
+_TOK = O.tokens("documents", "doc_id", "doc_id < 1000")
+
+
+@register("distinct_label_edges", f"WITH {_TOK}, {O.TYPES}, o AS (SELECT DISTINCT gid, la || ',' || el || ',' || lb AS k, la, lb FROM te), f AS (SELECT k AS code, count(*) AS support, 1 AS n_edges FROM o GROUP BY k HAVING count(*) >= 100), en AS (SELECT gid, k, unnest([la, lb]) AS v FROM o WHERE k IN (SELECT code FROM f)), tw AS (SELECT DISTINCT x.gid, x.k || ';' || y.k AS code FROM en x JOIN en y ON x.gid = y.gid AND x.v = y.v AND x.k < y.k) SELECT * FROM f UNION ALL SELECT code, count(*), 2 FROM tw GROUP BY code HAVING count(*) >= 100")
+def _(spark, sf_dir):
+    return B.mine_distinct_labels(builders.token_adj(spark, sf_dir), 100).select("code", "support", "n_edges")
+
+
+_TWO = O.tokens("documents", "doc_id", "doc_id < 1000 AND doc_id IN (SELECT doc_id FROM labels)")
+
+
+@register("discriminative_edges", f"WITH {_TWO}, {O.TYPES}, c AS (SELECT DISTINCT te.gid, la || '|' || lb AS code, quality AS y FROM te JOIN labels ON doc_id = te.gid), k AS (SELECT sum((quality = 0)::INT) AS n0, sum((quality = 1)::INT) AS n1 FROM labels WHERE doc_id < 1000) SELECT code, sum((y = 0)::INT)::BIGINT AS support_0, sum((y = 1)::INT)::BIGINT AS support_1, round(abs(sum((y = 0)::INT) / any_value(n0) - sum((y = 1)::INT) / any_value(n1)), 9) AS difference FROM c, k GROUP BY code HAVING count(*) >= 10")
+def _(spark, sf_dir):
+    db = builders.two_class(spark, sf_dir)
+    coded = db.typed_edges().select("gid", F.concat_ws("|", "la", "lb").alias("code"))
+    found = B.discriminative(coded, db.attrs.select("gid", F.col("quality").alias("y")))
+    return found.where("support_0 + support_1 >= 10").select("code", "support_0", "support_1", F.round("difference", 9).alias("difference"))
+
+
+@register("restricted_classes", f"WITH {O.DIALOGUE}, g AS (SELECT gid, count(*) = count(DISTINCT vlabel) AS distinct_labels FROM v GROUP BY gid) SELECT gid, true AS is_forest, true AS treewidth_le_2, distinct_labels FROM g")
+def _(spark, sf_dir):
+    return B.class_of(builders.dialogue(spark, sf_dir))
+
+
+@register("restricted_classes_dom")
+def _(spark, sf_dir):
+    return B.class_of(builders.dom_tree(spark, sf_dir))
+
+
+@register("pattern_features_p3")
+def _(spark, sf_dir):
+    db = prox(spark, sf_dir).stored()
+    return B.pattern_features(db, mine_top_k(db, 3, k=20, m=2000), 3)
+
+
+# Relations around the methods
+@register("support_rollup", f"WITH {PX}, {O.TYPES} SELECT la, el, count(DISTINCT gid) AS graphs, count(*) AS edges FROM te GROUP BY ROLLUP (la, el)")
+def _(spark, sf_dir):
+    return prox(spark, sf_dir).typed_edges().rollup("la", F.col("elabel").alias("el")).agg(F.count_distinct("gid").alias("graphs"), F.count("*").alias("edges"))
+
+
+@register("support_cube", f"WITH {PX}, {O.TYPES} SELECT la, lb, el, count(*) AS edges FROM te GROUP BY CUBE (la, lb, el)")
+def _(spark, sf_dir):
+    return prox(spark, sf_dir).typed_edges().cube("la", "lb", F.col("elabel").alias("el")).agg(F.count("*").alias("edges"))
+
+
+@register("as_of_checkpoint", f"WITH i AS (SELECT unnest(range(1, 501)) AS iter), c AS (SELECT unnest(range(0, 501, 64)) AS t) SELECT iter, max(t) AS checkpoint, round({O.uniform(chr(39) + '3' + chr(39), 'max(t)::VARCHAR')}, 12) AS gate FROM i JOIN c ON t <= iter GROUP BY iter")
+def _(spark, sf_dir):
+    """The latest gate value before each iteration: both sides in one order, the last value carried on."""
+    gates = spark.range(0, 501, 64).select(F.col("id").alias("at"), F.round(uniform_column(3, F.col("id")), 12).alias("gate"))
+    both = gates.select(F.col("at").alias("t"), F.col("at").alias("checkpoint"), "gate", F.lit(None).cast("long").alias("iter")).unionByName(spark.range(1, 501).select(F.col("id").alias("t"), F.lit(None).cast("long").alias("checkpoint"), F.lit(None).cast("double").alias("gate"), F.col("id").alias("iter")))
+    order = Window.orderBy("t", F.col("iter").asc_nulls_first())  # checkpoints and iterations of one run
+    last = lambda c: F.last(c, ignorenulls=True).over(order)
+    return both.select("iter", last("checkpoint").alias("checkpoint"), last("gate").alias("gate")).where("iter IS NOT NULL")
+
+
+# Experiments
+def _experiment(spark, sf_dir, alphabet, scores, k, ms, p=3, chains=3):
+    """``score, iters, precision`` as mean over chains, all chains of a target in one job."""
+    db = prox(spark, sf_dir, alphabet).stored()
+    types = S.edge_support(db)
+    truth = E.ground_truth(db, p, types=types)
+    top = A.true_top(truth, k).select("code")
+    out = []
+    for s in scores:
+        samples = with_code(W.run_walks(db, p, max(ms), s, chains=chains, types=types), method="inline").select("chain", "iter", "gid", "score", "code")
+        for m in ms:
+            q = ranked(Q.expected_support(samples.where(F.col("iter") <= m), ("chain",)), k, ("chain",))
+            hits = q.join(F.broadcast(top), "code").groupBy("chain").agg((F.count("*") * 100.0 / k).alias("precision"))
+            out.append(A.repeat(hits.withColumn("iters", F.lit(m)).withColumn("score", F.lit(s)), ["score", "iters"], "precision"))
+    return reduce(DataFrame.unionByName, out)
+
+
+@register("w1_complete_by_size")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 15).stored()
+    return reduce(DataFrame.unionByName, [B.mine_complete(db, 0.8, max_size=n, max_edges=2).agg(F.count("*").alias("patterns")).withColumn("max_size", F.lit(n)) for n in (2, 3)])
+
+
+@register("w2_complete_by_support")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 15).stored()
+    return reduce(DataFrame.unionByName, [B.mine_complete(db, x, max_size=3, max_edges=2).agg(F.count("*").alias("patterns")).withColumn("minsup", F.lit(x)) for x in (0.9, 0.8, 0.7)])
+
+
+@register("w4_quality_by_iterations")
+def _(spark, sf_dir):
+    return _experiment(spark, sf_dir, "coarse", ("s1", "s2"), 100, [1000, 4000])
+
+
+@register("w7_copurchase")
+def _(spark, sf_dir):
+    return mine_top_k(builders.copurchase(spark, sf_dir).stored(), 3, k=100, m=1000)
+
+
+@register("w8_order_star")
+def _(spark, sf_dir):
+    return mine_top_k(builders.order_star(spark, sf_dir, every=10).stored(), 6, k=100, m=3000)
+
+
+@register("w9_time_by_size")
+def _(spark, sf_dir):
+    """Proposals and moves by size: the walk's own work, which grows about linearly; seconds are in bench.py."""
+    db = prox(spark, sf_dir).stored()
+    return reduce(DataFrame.unionByName, [W.walk_stats(W.run_walks(db, p, 300)).withColumn("p", F.lit(p)) for p in (3, 5, 7)])
+
+
+@register("w10_targets_skewed")
+def _(spark, sf_dir):
+    return _experiment(spark, sf_dir, "skewed", ("uniform", "s1", "s2"), 500, [15000], chains=2)
+
+
+@register("w11_queue_sizes")
+def _(spark, sf_dir):
+    samples = W.run_walks(prox(spark, sf_dir).stored(), 3, 3000)
+    return reduce(DataFrame.unionByName, [Q.queue_stats(Q.replay_queue(samples, Q.QueuePolicy(c))).withColumn("capacity", F.lit(c)) for c in (100, 200, 10_000)])
+
+
+@register("w12_effect_of_k")
+def _(spark, sf_dir):
+    db = prox(spark, sf_dir).stored()
+    return A.precision_curve(E.ground_truth(db, 3), Q.lossless_queue(W.run_walks(db, 3, 8000), method="inline"), [50, 100, 200])
+
+
+@register("w13_chains")
+def _(spark, sf_dir):
+    db = prox(spark, sf_dir).stored()
+    samples = with_code(W.run_walks(db, 3, 4000, chains=4), method="inline")
+    return reduce(DataFrame.unionByName, [A.chain_jaccard(ranked(Q.expected_support(samples.where(F.col("iter") <= m), ("chain",)), 100, ("chain",))).withColumn("iters", F.lit(m)) for m in (1000, 4000)])
