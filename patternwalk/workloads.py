@@ -550,3 +550,117 @@ def _(spark, sf_dir):
     db = prox(spark, sf_dir).stored()
     samples = with_code(W.run_walks(db, 3, 4000, chains=4), method="inline")
     return reduce(DataFrame.unionByName, [A.chain_jaccard(ranked(Q.expected_support(samples.where(F.col("iter") <= m), ("chain",)), 100, ("chain",))).withColumn("iters", F.lit(m)) for m in (1000, 4000)])
+
+
+# Large graphs, convergence, streams, SQL surface, files
+@register("bsp_walk_p3")
+def _(spark, sf_dir):
+    """Walkers by superstep; each starts from the kernel's first state of its graph."""
+    from patternwalk.operators import bsp
+
+    db = first_users(prox(spark, sf_dir), 4).stored()
+    types = S.edge_support(db)
+    _, state = W.run_walks(db, 3, 60, types=types, want_state=True, burn_in=0)
+    walkers = state.select(F.col("chain").alias("walker"), "gid", "vs", F.lit(0).cast("long").alias("attempts"), F.lit(0).alias("moved"))
+    out = bsp.walk_in_supersteps(bsp.adjacency(db, types), walkers, S.score_table(db, types, "s2"), steps=3)
+    return out.select("walker", "gid", joined("vs").alias("vs"), "attempts", "moved")
+
+
+@register("run_until_agreement")
+def _(spark, sf_dir):
+    from patternwalk.operators.convergence import run_until
+
+    _, trace = run_until(prox(spark, sf_dir).stored(), 3, k=50, epsilon=0.3, first=500, most=2000, chains=3)
+    return spark.createDataFrame(trace, "iters long, distance double, r_hat double")
+
+
+@register("stage_times")
+def _(spark, sf_dir):
+    from patternwalk.operators.convergence import stage_times
+
+    return reduce(DataFrame.unionByName, [stage_times(prox(spark, sf_dir).stored(), p, 300) for p in (3, 6)])
+
+
+@register("visit_distance_p3")
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 4).stored()
+    return A.visit_distance(W.run_walks(db, 3, 4000, emit="lazy"), L.stationary(db, 3)).select("gid", "distance")
+
+
+_MODEL = f"{_SMALL}, {O.codes(3)}, z AS (SELECT gid, count(*) AS z FROM s3 GROUP BY gid), ms AS (SELECT code, cd.gid, count(*) / any_value(z) AS mass FROM cd JOIN z ON z.gid = cd.gid GROUP BY code, cd.gid) SELECT code, round(sum(1 - pow(1 - mass, 100)), 6) AS expected FROM ms GROUP BY code"
+
+
+@register("expected_support_model_p3", _MODEL)
+def _(spark, sf_dir):
+    db = first_users(prox(spark, sf_dir), 8)
+    coded = E.piece_codes(db, E.enumerate_induced(db, 3), 3)
+    total = coded.groupBy("gid").agg(F.count("*").alias("z"))
+    mass = coded.groupBy("code", "gid").agg(F.count("*").alias("n")).join(total, "gid").select("code", "gid", (F.col("n") / F.col("z")).alias("mass"))
+    visits = db.vertices.select("gid").distinct().withColumn("m", F.lit(100))
+    return L.expected_support_model(mass, visits).withColumn("expected", F.round("expected", 6))
+
+
+_DEN = f"{_SMALL} SELECT gid, {LIST}, count(*)::BIGINT AS n_edges, round(2 * count(*) / 6.0, 9) AS density FROM pe GROUP BY gid, pe.vs"
+
+
+@register("piece_stats_p3", _DEN)
+def _(spark, sf_dir):
+    from patternwalk.model import induced_edges, piece_stats
+
+    db = first_users(prox(spark, sf_dir), 8)
+    return piece_stats(induced_edges(db, E.enumerate_induced(db, 3))).select("gid", joined("vs").alias("vs"), "n_edges", F.round("density", 9).alias("density"))
+
+
+@register("sql_surface", f"{_P3}, {O.codes(3)} SELECT count(*) AS pieces, count(DISTINCT code) AS patterns FROM cd")
+def _(spark, sf_dir):
+    from patternwalk.functions import sql
+
+    sql.register(spark, prox(spark, sf_dir).stored())
+    return spark.sql("SELECT count(*) AS pieces, count(DISTINCT code) AS patterns FROM (SELECT dfs_code(raw) AS code FROM enumerate_pieces(TABLE(gdb_packed), 3))")
+
+
+@register("sql_reachability", f"WITH {O.DIALOGUE} SELECT gid, count(*) AS reached FROM v GROUP BY gid HAVING count(*) < 50")
+def _(spark, sf_dir):
+    """A recursive query: how many vertices the first one of each path reaches."""
+    db = builders.dialogue(spark, sf_dir)
+    db.vertices.createOrReplaceTempView("dlg_v")
+    db.symmetric().createOrReplaceTempView("dlg_e")
+    return spark.sql(
+        "WITH RECURSIVE r(gid, vid, depth) AS (SELECT gid, min(vid), 0 FROM dlg_v GROUP BY gid UNION ALL SELECT r.gid, e.b, r.depth + 1 FROM r JOIN dlg_e e ON e.gid = r.gid AND e.a = r.vid WHERE e.b > r.vid AND r.depth < 50) SELECT gid, count(DISTINCT vid) AS reached FROM r GROUP BY gid"
+    )
+
+
+@register("stream_windows", "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n FROM events GROUP BY ALL")
+def _(spark, sf_dir):
+    """The streaming aggregate over everything there is, without late loss, as the batch engine runs the same plan."""
+    from patternwalk.streaming.streams import windowed_activity
+
+    e = table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return windowed_activity(e).withColumn("start", F.col("start").cast("timestamp_ntz"))
+
+
+@register("w14_induced_at_ten_percent")
+def _(spark, sf_dir):
+    return B.mine_complete(builders.order_star(spark, sf_dir, every=20).stored(), 0.1, max_size=4, induced=True)
+
+
+@register("w3_space_by_size")
+def _(spark, sf_dir):
+    return E.space_growth(first_users(prox(spark, sf_dir), 15), [3, 4, 5])
+
+
+@register("w5_long_runs")
+def _(spark, sf_dir):
+    return _experiment(spark, sf_dir, "coarse", ("s2",), 100, [2000, 4000, 8000], chains=2)
+
+
+@register("w6_scores_and_support")
+def _(spark, sf_dir):
+    return E.ground_truth(prox(spark, sf_dir), 3).select("code", "support", "s1", "s2")
+
+
+@register("w17_discriminative_pieces")
+def _(spark, sf_dir):
+    db = builders.two_class(spark, sf_dir, below=300)
+    coded = E.piece_codes(db, E.enumerate_induced(db, 2), 2).select("gid", "code").distinct()
+    return B.discriminative(coded, db.attrs.select("gid", F.col("quality").alias("y"))).orderBy(F.desc("gain"), "code").limit(100)
