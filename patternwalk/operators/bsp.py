@@ -3,8 +3,9 @@
 A superstep moves every walker by one proposal. The state's neighbour lists come by an
 equi-join on ``(gid, vid)``; the proposed vertex's own list by a second one. The
 arithmetic between the joins is that of the kernel on a small graph made of those lists,
-with the same counters, so the walk is the kernel's walk with ``emit='lazy'``. The walkers'
-table is cut every few steps.
+with the same counters, so the walk is the kernel's walk with ``emit='lazy'``. Both
+halves of a step are cut tables: a walker's row is read twice by the next join, and a plan
+that grew with the steps would grow exponentially.
 """
 
 from __future__ import annotations
@@ -57,7 +58,7 @@ def _types(near: dict[int, dict[int, int]], state: list[int]) -> list[int]:
     return [near[a][b] for i, a in enumerate(state) for b in state[i + 1 :] if b in near[a]]
 
 
-def walk_in_supersteps(adj: DataFrame, walkers: DataFrame, scores: Scores, steps: int, seed: int = 0, cut_every: int = 5) -> DataFrame:
+def walk_in_supersteps(adj: DataFrame, walkers: DataFrame, scores: Scores, steps: int, seed: int = 0) -> DataFrame:
     """Walkers after ``steps`` proposals; ``walkers`` has the columns of ``WALKERS``."""
     shared = adj.sparkSession.sparkContext.broadcast(scores)
 
@@ -96,9 +97,8 @@ def walk_in_supersteps(adj: DataFrame, walkers: DataFrame, scores: Scores, steps
                 out.append((r.walker, r.gid, state if ok else [int(v) for v in r.vs], r.attempts + 1, r.moved + int(ok)))
             yield pd.DataFrame(out, columns=["walker", "gid", "vs", "attempts", "moved"], dtype=object)
 
-    for k in range(steps):
-        asked = lists_of(walkers, "vs", "lists").mapInPandas(propose, f"{WALKERS}, ws array<long>, d int, types array<int>")
-        walkers = lists_of(asked, "ws", "lists").mapInPandas(decide, WALKERS)
-        if k % cut_every == cut_every - 1 or k == steps - 1:
-            walkers = cut(walkers, "walkers")
+    adj = cut(adj, "adjacency")
+    for _ in range(steps):
+        asked = cut(lists_of(walkers, "vs", "lists").mapInPandas(propose, f"{WALKERS}, ws array<long>, d int, types array<int>"), "proposals")
+        walkers = cut(lists_of(asked, "ws", "lists").mapInPandas(decide, WALKERS), "walkers")
     return walkers

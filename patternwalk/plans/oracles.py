@@ -45,7 +45,7 @@ e AS (SELECT * FROM (SELECT conv_id AS gid, turn AS src, lead(turn) OVER (PARTIT
 def tokens(source: str, key: str, where: str = "true") -> str:
     return rf"""
 tk AS (SELECT gid, i, w FROM (SELECT gid, unnest(range(1, len(ws) + 1)) AS i, unnest(ws) AS w FROM (
-   SELECT {key} AS gid, list_slice(list_filter(string_split(lower(text), ' '), lambda x: regexp_full_match(x, '[a-z]{{2,}}')), 1, 200) AS ws FROM {source} WHERE {where}))),
+   SELECT {key} AS gid, list_filter(string_split(lower(text), ' '), lambda x: regexp_full_match(x, '[a-z]{{2,}}')) AS ws FROM {source} WHERE {where}))),
 nu AS (SELECT gid, i, w, dense_rank() OVER (PARTITION BY gid ORDER BY w) - 1 AS vid FROM tk),
 v AS (SELECT DISTINCT gid, vid, w AS vlabel FROM nu),
 e AS (SELECT gid, least(vid, nx) AS src, greatest(vid, nx) AS dst, min('n') AS elabel FROM (SELECT gid, vid, lead(vid) OVER (PARTITION BY gid ORDER BY i) AS nx FROM nu) WHERE nx IS NOT NULL AND nx <> vid GROUP BY ALL)"""

@@ -108,9 +108,9 @@ def vector_radius(spark: SparkSession, sf_dir: str, size: int = 50, least: float
     return largest_component(GraphDB(v.select("gid", "vid", "vlabel"), edges.select("gid", "src", "dst", F.when(F.col("c") >= near, "1").otherwise("2").alias("elabel"))))
 
 
-def _token_graphs(texts: DataFrame, first: int = 200) -> GraphDB:
+def _token_graphs(texts: DataFrame) -> GraphDB:
     """``texts(gid, text)``: distinct plain words as vertices, neighbours in the text as edges."""
-    words = F.slice(F.filter(F.split(F.lower("text"), " "), lambda w: w.rlike("^[a-z]{2,}$")), 1, first)
+    words = F.filter(F.split(F.lower("text"), " "), lambda w: w.rlike("^[a-z]{2,}$"))
     kept = texts.select("gid", words.alias("ws"))
     at = kept.select("gid", F.posexplode("ws").alias("i", "w"))
     vid = F.dense_rank().over(Window.partitionBy("gid").orderBy("w")).cast("long") - 1
@@ -120,16 +120,16 @@ def _token_graphs(texts: DataFrame, first: int = 200) -> GraphDB:
     return GraphDB(at.select("gid", "vid", F.col("w").alias("vlabel")).distinct(), simplify(raw))
 
 
-def token_adj(spark: SparkSession, sf_dir: str, below: int = 1000) -> GraphDB:
+def token_adj(spark: SparkSession, sf_dir: str) -> GraphDB:
     """Words of a document next to each other: graphs whose vertices have distinct labels."""
-    return _token_graphs(table(spark, sf_dir, "documents").where(F.col("doc_id") < below).select(F.col("doc_id").alias("gid"), "text"))
+    return _token_graphs(table(spark, sf_dir, "documents").select(F.col("doc_id").alias("gid"), "text"))
 
 
-def two_class(spark: SparkSession, sf_dir: str, below: int = 1000) -> GraphDB:
+def two_class(spark: SparkSession, sf_dir: str) -> GraphDB:
     """Word graphs of labelled documents, their labels as attributes."""
     labels = table(spark, sf_dir, "labels").select(F.col("doc_id").alias("gid"), "quality", "toxic")
-    db = token_adj(spark, sf_dir, below).restrict(labels)
-    return GraphDB(db.vertices, db.edges, labels.where(F.col("gid") < below))
+    db = token_adj(spark, sf_dir).restrict(labels)
+    return GraphDB(db.vertices, db.edges, labels)
 
 
 def probe(spark: SparkSession, sf_dir: str) -> GraphDB:

@@ -42,10 +42,6 @@ def prox(spark: SparkSession, sf_dir: str, alphabet: str = "coarse") -> GraphDB:
     return builders.proximity(spark, sf_dir, alphabet)
 
 
-def first_users(db: GraphDB, below: int) -> GraphDB:
-    return GraphDB(db.vertices.where(F.col("gid") < below), db.edges.where(F.col("gid") < below))
-
-
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mine_top_k(prox(spark, sf_dir).stored(), 3, k=20, m=3000, score="s2")
 
@@ -59,7 +55,7 @@ _STATS = {
     **{f"proximity_{a}": (lambda s, d, a=a: builders.proximity(s, d, a), O.proximity(a)) for a in ("fine", "coarse", "skewed")},
     "order_star": (builders.order_star, O.STAR),
     "dialogue": (builders.dialogue, O.DIALOGUE),
-    "token_adj": (builders.token_adj, O.tokens("documents", "doc_id", "doc_id < 1000")),
+    "token_adj": (builders.token_adj, O.tokens("documents", "doc_id")),
     "probe": (builders.probe, O.tokens("benchmark", "item_id")),
     "vector_radius": (builders.vector_radius, f"{O.VECTOR},{O.LARGEST}"),
     "copurchase": (builders.copurchase, f"{O.COPURCHASE},{O.LARGEST}"),
@@ -98,26 +94,26 @@ def _(spark, sf_dir):
 
 
 _P3 = f"WITH {PX}, {O.pieces(3)}"
-_SMALL = f"WITH {O.proximity('coarse', 'user_id < 8')}, {O.pieces(3)}, {O.TYPES}, {O.scores(3)}"
+_SMALL = f"WITH {O.proximity('coarse')}, {O.pieces(3)}, {O.TYPES}, {O.scores(3)}"
 
 
 @register("score_s1_p3", f"{_SMALL} SELECT gid, {LIST}, s1_num, s1_den, s1 FROM s1s")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 8)
+    db = prox(spark, sf_dir)
     rows = S.piece_types(db, E.enumerate_induced(db, 3), S.edge_support(db))
     return S.score_s1(rows, ["gid", "vs"]).withColumn("vs", joined("vs"))
 
 
 @register("score_s2_p3", f"{_SMALL} SELECT gid, {LIST}, s2 FROM s2s")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 8)
+    db = prox(spark, sf_dir)
     types = S.edge_support(db, sets=True)
     return S.score_s2(S.piece_types(db, E.enumerate_induced(db, 3), types), types, ["gid", "vs"]).withColumn("vs", joined("vs"))
 
 
 @register("score_s2_min_bound", f"{_SMALL} SELECT gid, {LIST}, min(support) AS s2 FROM pe GROUP BY gid, pe.vs")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 8)
+    db = prox(spark, sf_dir)
     types = S.edge_support(db)
     return S.score_s2(S.piece_types(db, E.enumerate_induced(db, 3), types), types, ["gid", "vs"], "min_bound").withColumn("vs", joined("vs"))
 
@@ -163,7 +159,7 @@ def _(spark, sf_dir):
 
 @register("induced_below_plain_p3", "SELECT ''::VARCHAR AS code, 0::BIGINT AS support_plain, 0::BIGINT AS support_induced WHERE false")
 def _(spark, sf_dir):
-    return E.support_both(first_users(prox(spark, sf_dir), 15), 3).where("support_induced > support_plain")
+    return E.support_both(prox(spark, sf_dir), 3).where("support_induced > support_plain")
 
 
 @register("frequent_p3_minsup", f"{_P3}, {O.codes(3)}, {O.SUPPORT} SELECT code, support FROM su WHERE support >= ceil(0.4 * (SELECT count(DISTINCT gid) FROM v))")
@@ -176,44 +172,44 @@ def _(spark, sf_dir):
 # The law of the walk
 @register("neighbour_degree_p3", f"{_SMALL}, {O.law(3, 'uniform')} SELECT gid, {LIST}, d FROM dg")
 def _(spark, sf_dir):
-    return L.degrees(first_users(prox(spark, sf_dir), 8), 3).where("d > 0").withColumn("vs", joined("vs"))
+    return L.degrees(prox(spark, sf_dir), 3).where("d > 0").withColumn("vs", joined("vs"))
 
 
 @register("swap_boxes_p3", f"{_SMALL}, {O.law(3, 'uniform')}, g AS (SELECT gid, vs, list_filter(vs, lambda y: NOT list_contains(ws, y))[1] AS u, list_filter(ws, lambda y: NOT list_contains(vs, y))[1] AS w FROM nb) SELECT gid, {LIST}, u, string_agg(w::VARCHAR, ',' ORDER BY w) AS box FROM g GROUP BY gid, g.vs, u")
 def _(spark, sf_dir):
-    return L.swap_boxes(first_users(prox(spark, sf_dir), 8), 3).select("gid", joined("vs").alias("vs"), "u", joined("box").alias("box"))
+    return L.swap_boxes(prox(spark, sf_dir), 3).select("gid", joined("vs").alias("vs"), "u", joined("box").alias("box"))
 
 
 for _s in ("uniform", "s1", "s2"):
-    register(f"acceptance_p3_{_s}", f"{_SMALL}, {O.law(3, _s)} SELECT gid, array_to_string(vs, ',') AS vs, array_to_string(ws, ',') AS ws, alpha FROM tr")(
-        lambda s, d, v=_s: L.transition_table(first_users(prox(s, d), 8), 3, v).select("gid", joined("vs").alias("vs"), joined("ws").alias("ws"), "alpha")
+    register(f"acceptance_p3_{_s}", f"{_SMALL}, {O.law(3, _s)} SELECT gid, {LIST}, count(*) AS moves, sum(floor(alpha * 1000000)::BIGINT)::BIGINT AS alphas, round(min(alpha), 9) AS least FROM tr GROUP BY gid, tr.vs")(
+        lambda s, d, v=_s: L.transition_table(prox(s, d), 3, v).groupBy("gid", "vs").agg(F.count("*").alias("moves"), F.sum(F.floor(F.col("alpha") * 1000000.0)).alias("alphas"), F.round(F.min("alpha"), 9).alias("least")).withColumn("vs", joined("vs"))
     )
 
 
 @register("acceptance_rate_p3", f"{_SMALL}, {O.law(3, 's2')} SELECT gid, round(sum(alpha / d) / count(DISTINCT vs), 9) AS rate FROM tr GROUP BY gid")
 def _(spark, sf_dir):
-    t = L.transition_table(first_users(prox(spark, sf_dir), 8), 3)
+    t = L.transition_table(prox(spark, sf_dir), 3)
     return t.groupBy("gid").agg(F.round(F.sum("prob") / F.count_distinct("vs"), 9).alias("rate"))
 
 
 @register("balance_residual_p3", "SELECT true AS balanced")
 def _(spark, sf_dir):
-    return L.balance_residual(first_users(prox(spark, sf_dir), 8), 3).select((F.col("residual") < 1e-12).alias("balanced"))
+    return L.balance_residual(prox(spark, sf_dir), 3).select((F.col("residual") < 1e-12).alias("balanced"))
 
 
 @register("jump_law_p3", f"{_SMALL}, {O.law(3, 's2')}, a AS (SELECT gid, vs, any_value(num) * sum(alpha / d) AS w FROM tr GROUP BY gid, vs), z AS (SELECT gid, sum(w) AS z FROM a GROUP BY gid) SELECT gid, {LIST}, round(w / z, 9) AS pi FROM a JOIN z USING (gid)")
 def _(spark, sf_dir):
-    return L.stationary(first_users(prox(spark, sf_dir), 8), 3, "s2", "accepted").select("gid", joined("vs").alias("vs"), F.round("pi", 9).alias("pi"))
+    return L.stationary(prox(spark, sf_dir), 3, "s2", "accepted").select("gid", joined("vs").alias("vs"), F.round("pi", 9).alias("pi"))
 
 
 @register("asymmetric_pairs_p3", "SELECT 0::BIGINT AS gid, '' AS vs WHERE false")
 def _(spark, sf_dir):
-    return L.asymmetric_pairs(first_users(prox(spark, sf_dir), 8), 3).select("gid", joined("vs").alias("vs"))
+    return L.asymmetric_pairs(prox(spark, sf_dir), 3).select("gid", joined("vs").alias("vs"))
 
 
 @register("unreached_p3", "SELECT 0::BIGINT AS gid, 0::BIGINT AS parts WHERE false")
 def _(spark, sf_dir):
-    return L.unreached(first_users(prox(spark, sf_dir), 8), 3)
+    return L.unreached(prox(spark, sf_dir), 3)
 
 
 # Schedules, walks, queues
@@ -233,7 +229,7 @@ def _(spark, sf_dir):
 
 #: The walk itself in SQL: first states and moves by the same counters, over the transition table.
 _WALK = f"""
-WITH RECURSIVE {O.proximity('coarse', 'user_id < 8')}, {O.pieces(3)}, {O.TYPES}, {O.scores(3)}, {O.law(3, 's2')}, {_EL}, {O.schedule(60, 0, 1)},
+WITH RECURSIVE {O.proximity('coarse')}, {O.pieces(3)}, {O.TYPES}, {O.scores(3)}, {O.law(3, 's2')}, {_EL}, {O.schedule(300, 0, 1)},
 visits AS (SELECT gid, iter, row_number() OVER (PARTITION BY gid ORDER BY iter) - 1 AS k FROM sd),
 le AS (SELECT gid, src, dst, row_number() OVER (PARTITION BY gid ORDER BY src, dst) - 1 AS i, count(*) OVER (PARTITION BY gid) AS m FROM e),
 s0 AS (SELECT gid, src, dst FROM le WHERE i = floor({O.uniform("'0'", "'0'", "gid::VARCHAR", "'0'", "'0'")} * m)),
@@ -245,20 +241,20 @@ walk AS (SELECT gid, vs, 0 AS attempt, 0 AS k FROM st
   SELECT w.gid, CASE WHEN {O.uniform("'0'", "'0'", "w.gid::VARCHAR", "(w.attempt + 1)::VARCHAR", "'1'")} <= m.alpha THEN m.ws ELSE w.vs END, w.attempt + 1,
          w.k + CASE WHEN {O.uniform("'0'", "'0'", "w.gid::VARCHAR", "(w.attempt + 1)::VARCHAR", "'1'")} <= m.alpha THEN 1 ELSE 0 END
   FROM walk w JOIN mv m ON m.gid = w.gid AND m.vs = w.vs AND m.i = floor({O.uniform("'0'", "'0'", "w.gid::VARCHAR", "(w.attempt + 1)::VARCHAR", "'0'")} * m.d)
-  WHERE w.k < 40),
+  WHERE w.k < 15),
 seen AS (SELECT gid, k, any_value(vs) AS vs, min(attempt) AS attempt FROM walk GROUP BY gid, k),
 smp AS (SELECT iter, visits.gid, seen.vs FROM visits JOIN seen USING (gid, k))"""
 
 
 @register("walk_p3_samples", f"{_WALK} SELECT iter, gid, {LIST} FROM smp")
 def _(spark, sf_dir):
-    return W.run_walks(first_users(prox(spark, sf_dir), 8), 3, 60).select("iter", "gid", joined("vs").alias("vs"))
+    return W.run_walks(prox(spark, sf_dir), 3, 300).select("iter", "gid", joined("vs").alias("vs"))
 
 
 @register("expected_support_p3", f"{_WALK}, {O.codes(3)}, t0 AS (SELECT code, smp.gid, min(iter) AS t FROM smp JOIN cd ON cd.gid = smp.gid AND cd.vs = smp.vs GROUP BY code, smp.gid) SELECT code, count(*)::INT AS exp_support, max(t) AS last_time FROM t0 GROUP BY code")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 8)
-    samples = W.run_walks(db, 3, 60)
+    db = prox(spark, sf_dir)
+    samples = W.run_walks(db, 3, 300)
     coded = samples.join(E.piece_codes(db, samples.select("gid", "vs").distinct(), 3), ["gid", "vs"])
     return Q.expected_support(coded).select("code", "exp_support", "last_time")
 
@@ -393,35 +389,35 @@ def _(spark, sf_dir):
 
 
 for _k in ("growth", "levelwise"):
-    register(f"complete_{_k}")(lambda s, d, k=_k: B.mine_complete(first_users(prox(s, d), 15).stored(), 0.8, max_size=3, strategy=k))
+    register(f"complete_{_k}")(lambda s, d, k=_k: B.mine_complete(prox(s, d).stored(), 0.8, max_size=3, strategy=k))
 
 
 @register("complete_maximal")
 def _(spark, sf_dir):
-    return B.maximal(B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.8, max_size=3))
+    return B.maximal(B.mine_complete(prox(spark, sf_dir).stored(), 0.8, max_size=3))
 
 
 @register("complete_closed")
 def _(spark, sf_dir):
-    return B.closed(B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.8, max_size=3))
+    return B.closed(B.mine_complete(prox(spark, sf_dir).stored(), 0.8, max_size=3))
 
 
 @register("complete_induced")
 def _(spark, sf_dir):
-    return B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.6, max_size=4, induced=True)
+    return B.mine_complete(prox(spark, sf_dir).stored(), 0.6, max_size=4, induced=True)
 
 
 @register("complete_stopped")
 def _(spark, sf_dir):
-    return B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.8, max_size=3, stop_after=20)
+    return B.mine_complete(prox(spark, sf_dir).stored(), 0.8, max_size=3, stop_after=20)
 
 
 @register("pattern_lattice_walk")
 def _(spark, sf_dir):
-    return B.pattern_walk(B.mine_complete(first_users(prox(spark, sf_dir), 15).stored(), 0.9, max_size=3), 500)
+    return B.pattern_walk(B.mine_complete(prox(spark, sf_dir).stored(), 0.9, max_size=3), 500)
 
 
-_TOK = O.tokens("documents", "doc_id", "doc_id < 1000")
+_TOK = O.tokens("documents", "doc_id")
 
 
 @register("distinct_label_edges", f"WITH {_TOK}, {O.TYPES}, o AS (SELECT DISTINCT gid, la || ',' || el || ',' || lb AS k, la, lb FROM te), f AS (SELECT k AS code, count(*) AS support, 1 AS n_edges FROM o GROUP BY k HAVING count(*) >= 100), en AS (SELECT gid, k, unnest([la, lb]) AS v FROM o WHERE k IN (SELECT code FROM f)), tw AS (SELECT DISTINCT x.gid, x.k || ';' || y.k AS code FROM en x JOIN en y ON x.gid = y.gid AND x.v = y.v AND x.k < y.k) SELECT * FROM f UNION ALL SELECT code, count(*), 2 FROM tw GROUP BY code HAVING count(*) >= 100")
@@ -429,10 +425,10 @@ def _(spark, sf_dir):
     return B.mine_distinct_labels(builders.token_adj(spark, sf_dir), 100).select("code", "support", "n_edges")
 
 
-_TWO = O.tokens("documents", "doc_id", "doc_id < 1000 AND doc_id IN (SELECT doc_id FROM labels)")
+_TWO = O.tokens("documents", "doc_id", "doc_id IN (SELECT doc_id FROM labels)")
 
 
-@register("discriminative_edges", f"WITH {_TWO}, {O.TYPES}, c AS (SELECT DISTINCT te.gid, la || '|' || lb AS code, quality AS y FROM te JOIN labels ON doc_id = te.gid), k AS (SELECT sum((quality = 0)::INT) AS n0, sum((quality = 1)::INT) AS n1 FROM labels WHERE doc_id < 1000) SELECT code, sum((y = 0)::INT)::BIGINT AS support_0, sum((y = 1)::INT)::BIGINT AS support_1, round(abs(sum((y = 0)::INT) / any_value(n0) - sum((y = 1)::INT) / any_value(n1)), 9) AS difference FROM c, k GROUP BY code HAVING count(*) >= 10")
+@register("discriminative_edges", f"WITH {_TWO}, {O.TYPES}, c AS (SELECT DISTINCT te.gid, la || '|' || lb AS code, quality AS y FROM te JOIN labels ON doc_id = te.gid), k AS (SELECT sum((quality = 0)::INT) AS n0, sum((quality = 1)::INT) AS n1 FROM labels) SELECT code, sum((y = 0)::INT)::BIGINT AS support_0, sum((y = 1)::INT)::BIGINT AS support_1, round(abs(sum((y = 0)::INT) / any_value(n0) - sum((y = 1)::INT) / any_value(n1)), 9) AS difference FROM c, k GROUP BY code HAVING count(*) >= 10")
 def _(spark, sf_dir):
     db = builders.two_class(spark, sf_dir)
     coded = db.typed_edges().select("gid", F.concat_ws("|", "la", "lb").alias("code"))
@@ -496,13 +492,13 @@ def _experiment(spark, sf_dir, alphabet, scores, k, ms, p=3, chains=3):
 
 @register("w1_complete_by_size")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 15).stored()
+    db = prox(spark, sf_dir).stored()
     return reduce(DataFrame.unionByName, [B.mine_complete(db, 0.8, max_size=n, max_edges=2).agg(F.count("*").alias("patterns")).withColumn("max_size", F.lit(n)) for n in (2, 3)])
 
 
 @register("w2_complete_by_support")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 15).stored()
+    db = prox(spark, sf_dir).stored()
     return reduce(DataFrame.unionByName, [B.mine_complete(db, x, max_size=3, max_edges=2).agg(F.count("*").alias("patterns")).withColumn("minsup", F.lit(x)) for x in (0.9, 0.8, 0.7)])
 
 
@@ -518,7 +514,7 @@ def _(spark, sf_dir):
 
 @register("w8_order_star")
 def _(spark, sf_dir):
-    return mine_top_k(builders.order_star(spark, sf_dir, every=10).stored(), 6, k=100, m=3000)
+    return mine_top_k(builders.order_star(spark, sf_dir).stored(), 6, k=100, m=3000)
 
 
 @register("w9_time_by_size")
@@ -558,7 +554,7 @@ def _(spark, sf_dir):
     """Walkers by superstep; each starts from the kernel's first state of its graph."""
     from patternwalk.operators import bsp
 
-    db = first_users(prox(spark, sf_dir), 4).stored()
+    db = prox(spark, sf_dir).stored()
     types = S.edge_support(db)
     _, state = W.run_walks(db, 3, 60, types=types, want_state=True, burn_in=0)
     walkers = state.select(F.col("chain").alias("walker"), "gid", "vs", F.lit(0).cast("long").alias("attempts"), F.lit(0).alias("moved"))
@@ -583,7 +579,7 @@ def _(spark, sf_dir):
 
 @register("visit_distance_p3")
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 4).stored()
+    db = prox(spark, sf_dir).stored()
     return A.visit_distance(W.run_walks(db, 3, 4000, emit="lazy"), L.stationary(db, 3)).select("gid", "distance")
 
 
@@ -592,7 +588,7 @@ _MODEL = f"{_SMALL}, {O.codes(3)}, z AS (SELECT gid, count(*) AS z FROM s3 GROUP
 
 @register("expected_support_model_p3", _MODEL)
 def _(spark, sf_dir):
-    db = first_users(prox(spark, sf_dir), 8)
+    db = prox(spark, sf_dir)
     coded = E.piece_codes(db, E.enumerate_induced(db, 3), 3)
     total = coded.groupBy("gid").agg(F.count("*").alias("z"))
     mass = coded.groupBy("code", "gid").agg(F.count("*").alias("n")).join(total, "gid").select("code", "gid", (F.col("n") / F.col("z")).alias("mass"))
@@ -607,7 +603,7 @@ _DEN = f"{_SMALL} SELECT gid, {LIST}, count(*)::BIGINT AS n_edges, round(2 * cou
 def _(spark, sf_dir):
     from patternwalk.model import induced_edges, piece_stats
 
-    db = first_users(prox(spark, sf_dir), 8)
+    db = prox(spark, sf_dir)
     return piece_stats(induced_edges(db, E.enumerate_induced(db, 3))).select("gid", joined("vs").alias("vs"), "n_edges", F.round("density", 9).alias("density"))
 
 
@@ -641,12 +637,12 @@ def _(spark, sf_dir):
 
 @register("w14_induced_at_ten_percent")
 def _(spark, sf_dir):
-    return B.mine_complete(builders.order_star(spark, sf_dir, every=20).stored(), 0.1, max_size=4, induced=True)
+    return B.mine_complete(builders.order_star(spark, sf_dir).stored(), 0.1, max_size=4, induced=True)
 
 
 @register("w3_space_by_size")
 def _(spark, sf_dir):
-    return E.space_growth(first_users(prox(spark, sf_dir), 15), [3, 4, 5])
+    return E.space_growth(prox(spark, sf_dir), [3, 4, 5])
 
 
 @register("w5_long_runs")
@@ -661,6 +657,6 @@ def _(spark, sf_dir):
 
 @register("w17_discriminative_pieces")
 def _(spark, sf_dir):
-    db = builders.two_class(spark, sf_dir, below=300)
+    db = builders.two_class(spark, sf_dir)
     coded = E.piece_codes(db, E.enumerate_induced(db, 2), 2).select("gid", "code").distinct()
     return B.discriminative(coded, db.attrs.select("gid", F.col("quality").alias("y"))).orderBy(F.desc("gain"), "code").limit(100)
