@@ -6,6 +6,7 @@ the tasks it was running, and a loop's plan stays as short as one round.
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -40,6 +41,12 @@ def cut(df: DataFrame, name: str, partition_by: list[str] | None = None) -> Data
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete the shuffle files of finished stages now, not when the driver next collects its garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def sweep(spark: SparkSession) -> None:
     """Delete every cut table of this folder; call it when no frame that reads one is needed any more."""
     jvm = spark.sparkContext._jvm
