@@ -45,7 +45,7 @@ GRAIN = 8
 END_ID = 2
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker remembers, and the longest of them.
-MEMO, MEMO_CHARS = 400_000, 40
+MEMO, MEMO_CHARS = 800_000, 40
 #: A rest may also be cut at multiples of the capacity halved so often; used only where sequences would hold too much padding without.
 LEVELS = 4
 ENOUGH = 1.01
