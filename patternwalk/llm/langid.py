@@ -33,13 +33,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-SAMPLE_CHARS = 24_000
+SAMPLE_CHARS = 12_000
 #: Labelled characters a language, beyond those, on which its own rate of phrases is measured.
-RATE_CHARS = 12_000
+RATE_CHARS = 6_000
 #: Rows looked at per language to fill the sample.
 SAMPLE_ROWS = 64
 MAX_LANGUAGES = 256
-CLASSES = 64
+CLASSES = 48
 _BREAK, _OTHER = 0, 1
 
 
@@ -242,8 +242,8 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shared.value
         for whole in batches:
-            for at in range(0, max(1, whole.num_rows), 2048):
-                b = whole.slice(at, 2048)
+            for at in range(0, max(1, whole.num_rows), 1024):
+                b = whole.slice(at, 1024)
                 langs, score, rate = own.predict([t or "" for t in b.column(len(names)).to_pylist()])
                 yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(names))), pa.array(langs, pa.string()), pa.array(score, pa.float64()), pa.array(rate, pa.float64())], names=[*names, "lang_pred", "score", "rate"])
 

@@ -45,7 +45,7 @@ GRAIN = 8
 END_ID = 2
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker remembers, and the longest of them.
-MEMO, MEMO_CHARS = 800_000, 40
+MEMO, MEMO_CHARS = 400_000, 40
 #: A rest may also be cut at multiples of the capacity halved so often; used only where sequences would hold too much padding without.
 LEVELS = 4
 ENOUGH = 1.01
@@ -122,7 +122,8 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
     end = END_ID.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = tokenizer(vocabulary).encode
+        own = tokenizer(vocabulary)
+        encode = own.encode
         for whole in batches:
             for at in range(0, whole.num_rows, 256):
                 batch = whole.slice(at, 256)
@@ -132,6 +133,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
                     n = len(ids) // 4
                     rows += [(doc, s, size, zlib.crc32(ids[4 * s : 4 * (s + size)]), n, levels) for s, size, levels in cut_levels(n, capacity)]
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 6, schema=schema)
+        own.memo.clear()  # a worker lives on after its task; its words need not
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, _PIECE)
 
