@@ -106,7 +106,13 @@ def pack(db: GraphDB, etypes: DataFrame | None = None) -> DataFrame:
     e = e.groupBy("gid").agg(F.sort_array(F.collect_list(F.struct("src", "dst", "elabel", "etype"))).alias("e"))
     at = lambda c: F.transform("e", lambda x: F.array_position(F.col("v.vid"), x[c]).cast("int") - 1)
     both = v.join(e, "gid", "left").withColumn("e", F.coalesce("e", F.array().cast("array<struct<src:bigint,dst:bigint,elabel:string,etype:int>>")))
-    return both.select("gid", F.col("v.vid").alias("vids"), F.col("v.vlabel").alias("vlab"), at("src").alias("ea"), at("dst").alias("eb"), F.col("e.elabel").alias("elab"), F.col("e.etype").alias("etyp"))
+    packed = both.select("gid", F.col("v.vid").alias("vids"), F.col("v.vlabel").alias("vlab"), at("src").alias("ea"), at("dst").alias("eb"), F.col("e.elabel").alias("elab"), F.col("e.etype").alias("etyp"))
+    return packed.repartition(workers(db.spark), "gid")
+
+
+def workers(spark) -> int:
+    """Partitions for kernels: their work is not in proportion to bytes, so adaptive merging of small partitions would leave cores idle."""
+    return max(int(spark.conf.get("spark.sql.shuffle.partitions")), 2 * spark.sparkContext.defaultParallelism)
 
 
 def validate(db: GraphDB) -> DataFrame:

@@ -15,6 +15,7 @@ from patternwalk.model import GraphDB, pack
 from patternwalk.operators.canon import dfs_code, perm_code_sql
 from patternwalk.operators.kernel import Graph, bits
 from patternwalk.operators.support import edge_support, score_table
+from patternwalk.plans.scratch import cut
 
 
 def graph_of(row, etyp: bool = True) -> Graph:
@@ -75,7 +76,7 @@ def ground_truth(db: GraphDB, p: int, induced: bool = True, types: DataFrame | N
 
     Pieces never leave the worker: each graph gives one row per pattern that it has.
     """
-    types = edge_support(db) if types is None else types
+    types = cut(edge_support(db), "types") if types is None else types
     s1, s2 = score_table(db, types, "s1"), score_table(db, types, "s2")
     shared = db.spark.sparkContext.broadcast((s1, s2))
 

@@ -17,6 +17,7 @@ from patternwalk.model import GraphDB, pack
 from patternwalk.operators.enumerate import graph_of
 from patternwalk.operators.kernel import Scores, Walk, bits
 from patternwalk.operators.support import edge_support, score_table
+from patternwalk.plans.scratch import cut
 
 SAMPLES = "chain int, iter long, gid long, vs array<long>, n_edges int, raw string, score_num long, score_den long, score double, degree long, proposals int"
 STATE = "chain int, gid long, vs array<long>, es array<struct<a:long,b:long>>, attempts long"
@@ -120,7 +121,7 @@ def run_walks(
     Draws depend on ``(seed, chain, graph, attempt)`` only: reruns, lost tasks and other
     partitionings give the same samples, and two runs of ``m / 2`` joined by their state equal one of ``m``.
     """
-    types = edge_support(db) if types is None else types
+    types = cut(edge_support(db), "types") if types is None else types
     packed = pack(db, types)
     visits = schedule(eligible(db, p), m, seed, mode, chains, first)
     if state is None:
