@@ -13,3 +13,15 @@ def test_nothing_outside_imports_the_corpus_operators():
     for f in (root / "patternwalk").rglob("*.py"):
         if "llm" not in f.parts:
             assert "patternwalk.llm" not in f.read_text()
+
+
+def test_the_package_travels_where_workers_lack_it(spark, monkeypatch):
+    from patternwalk.plans import ship
+
+    sent = []
+    monkeypatch.setattr(ship, "reachable", lambda: False)
+    monkeypatch.setattr(ship, "_SENT", set())
+    monkeypatch.setattr(type(spark.sparkContext), "addPyFile", lambda self, path: sent.append(path))
+    ship.ship(spark)
+    ship.ship(spark)
+    assert len(sent) == 1 and sent[0].endswith("patternwalk.zip")
