@@ -27,7 +27,9 @@ length is tokenised as a whole.
 from __future__ import annotations
 
 import re
+import sys
 import zlib
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 from itertools import chain
@@ -45,7 +47,7 @@ GRAIN = 8
 END_ID = 2
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker remembers, and the longest of them.
-MEMO, MEMO_CHARS = 400_000, 40
+MEMO, MEMO_CHARS = 300_000, 40
 #: A rest may also be cut at multiples of the capacity halved so often; used only where sequences would hold too much padding without.
 LEVELS = 4
 ENOUGH = 1.01
@@ -59,6 +61,14 @@ _LETTER, _NUMBER, _SPACE = "a-z\u00aa\u00b5\u00ba\u00df-\u00f6\u00f8-\u024f", "0
 _WORDS = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTER}]+|[{_NUMBER}]|[^{_SPACE}{_LETTER}{_NUMBER}]+")
 
 
+def pack_ids(ids: list[int]) -> bytes:
+    """Little-endian unsigned 32-bit numbers."""
+    out = array("I", ids)
+    if sys.byteorder == "big":
+        out.byteswap()
+    return out.tobytes()
+
+
 class WordTokenizer:
     """The tokenizer's ids as little-endian unsigned 32-bit bytes. No token spans two words, so words are encoded once and remembered."""
 
@@ -86,10 +96,10 @@ class WordTokenizer:
         for i in range(0, len(fresh), 4096):
             some = fresh[i : i + 4096]
             for word, found in zip(some, self.word.encode_batch_fast(some, add_special_tokens=False)):
-                (memo if len(word) <= MEMO_CHARS and len(memo) < MEMO else passing)[word] = np.array(found.ids, "<u4").tobytes()
+                (memo if len(word) <= MEMO_CHARS and len(memo) < MEMO else passing)[word] = pack_ids(found.ids)
         self.passed += len(passing)
         memo.update(passing)  # for this call
-        out = [np.array(self.whole.encode(t, add_special_tokens=False).ids, "<u4").tobytes() if words is None else b"".join(map(memo.__getitem__, words)) for t, words in zip(texts, split)]
+        out = [pack_ids(self.whole.encode(t, add_special_tokens=False).ids) if words is None else b"".join(map(memo.__getitem__, words)) for t, words in zip(texts, split)]
         for word in passing:
             del memo[word]
         return out
@@ -106,6 +116,8 @@ def tokenizer(vocabulary: str) -> WordTokenizer:
 
 def cut_levels(n: int, capacity: int) -> list[tuple[int, int, int]]:
     """``(start, length, levels)``: whole sequences at every level, and the rest as level ``k`` cuts it, by ``capacity >> k``."""
+    if n <= capacity >> LEVELS - 1:
+        return [(0, n, (1 << LEVELS) - 1)]
     whole = n // capacity * capacity
     found: dict[tuple[int, int], int] = {(s, capacity): (1 << LEVELS) - 1 for s in range(0, whole, capacity)}
     for k in range(LEVELS):
@@ -122,8 +134,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
     end = END_ID.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = tokenizer(vocabulary)
-        encode = own.encode
+        encode = tokenizer(vocabulary).encode
         for whole in batches:
             for at in range(0, whole.num_rows, 256):
                 batch = whole.slice(at, 256)
@@ -133,7 +144,6 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
                     n = len(ids) // 4
                     rows += [(doc, s, size, zlib.crc32(ids[4 * s : 4 * (s + size)]), n, levels) for s, size, levels in cut_levels(n, capacity)]
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 6, schema=schema)
-        own.memo.clear()  # a worker lives on after its task; its words need not
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, _PIECE)
 
