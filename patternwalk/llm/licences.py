@@ -1,7 +1,7 @@
 """Operator 7: licence statements by sentence rules, in DataFrame functions only.
 
-A text is cut into sentences, each is normalised to lower-case letters and digits,
-and known licence sentences are mapped to short identifiers. The identifiers in order,
+A text is cut into pieces, each is normalised to lower-case letters and digits,
+and runs of pieces that make a known licence sentence are mapped to short identifiers. The identifiers in order,
 with unknown sentences between them shown as a gap, are matched against an
 ordered list of rules: each rule names a run of identifiers and the licence that it
 states, and takes the run out of the sequence before the next rule is tried. Longer
@@ -18,8 +18,6 @@ empty result; only the id and text columns are read.
 
 from __future__ import annotations
 
-from itertools import chain
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -78,37 +76,52 @@ RULES: list[tuple[str, tuple[str, ...]]] = [
     ("Unlicense", ("unlicense-free",)),
     *((f"CC-{k[3:-2].upper()}-{k[-1]}.0", (k,)) for k in SENTENCES if k.startswith("cc-")),
 ]
+#: Rules of the further wordings, before the others.
+MORE_RULES = [(f"LGPL-2.1{end}", (f"lgpl-2.1{plus}", *more)) for more in (("gpl-warranty",), ()) for plus, end in (("+", "-or-later"), ("", "-only"))]
 ANCHORS = ("license", "permission", "redistribut", "copyright", "liable", "warrant", "unencumbered")
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Where a sentence ends: at a full stop, mark, colon or semicolon before white space, and at the end of a line.
+#: Where a piece ends: at a full stop, mark, colon or semicolon before white space, and at the end of a line.
 _ENDS = r"[.!?;:]+[ \t\r\n]+|\n+"
 
 
+#: Genuine wordings besides those of ``SENTENCES``, with the identifiers that they count as.
+WORDINGS = [
+    *((s, i) for i, s in SENTENCES.items()),
+    *((SENTENCES["gpl-warranty"].replace("this program", f"this {what}"), "gpl-warranty") for what in ("library", "software")),
+    *((f"this {what} is free software you can redistribute it and or modify it under the terms of the gnu {name}general public license version {version} as published by the free software foundation", f"{short}-{version}") for short, what, name, versions in (("gpl", "program", "", "23"), ("lgpl", "library", "lesser ", "3"), ("agpl", "program", "affero ", "3")) for version in versions),
+    *((f"this library is free software you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation either version 2 1 of the license{later}", f"lgpl-2.1{later and '+'}") for later in ("", " or at your option any later version")),
+    (SENTENCES["apache-get"].replace("http ", "https "), "apache-get"),
+    *((f"{SENTENCES['apache-get'].replace('http ', f'{scheme} ')} {SENTENCES['apache-as-is']}", "apache-get><apache-as-is") for scheme in ("http", "https")),  # an address has no full stop
+    (SENTENCES["isc-grant"].replace("and or distribute", "and distribute"), "isc-grant"),
+]
+
+
 def recognise(text: Column) -> Column:
-    """The sequence of identifiers of a text: ``<id>`` each, ``<->`` for a gap."""
-    known = F.create_map(*chain.from_iterable((F.lit(s), F.lit(i)) for i, s in SENTENCES.items()))
+    """The sequence of identifiers of a text: ``<id>`` each, ``<->`` for a gap.
+
+    The text becomes its pieces between line ends and marks, each in lower-case letters and digits. A known sentence is
+    a run of whole pieces, so it may be wrapped, commented or have marks of its own; a list's number or letter
+    before it belongs to it. Longer sentences are taken first.
+    """
     low = F.translate(F.coalesce(text, F.lit("")), _UPPER, _LOWER)
     anchored = F.lit(False)
     for a in ANCHORS:
         anchored = anchored | low.contains(a)
-
-    def has_anchor(s: Column) -> Column:
-        out = F.lit(False)
-        for a in ANCHORS:
-            out = out | s.contains(a)
-        return out
-
-    settle = lambda s: F.trim(F.regexp_replace(s, "[^a-z0-9]+", " "))
-    ids = F.transform(F.split(low, _ENDS), lambda s: F.coalesce(F.when(has_anchor(s), F.try_element_at(known, settle(s))), F.when(settle(s) != "", F.lit("-"))))
-    sequence = F.concat(F.lit("<"), F.array_join(F.filter(ids, lambda x: x.isNotNull()), "><"), F.lit(">"))
-    return F.when(anchored, F.regexp_replace(sequence, "(<->)+", "<->")).otherwise(F.lit(""))
+    pieces = F.regexp_replace(F.regexp_replace(low, _ENDS, "\n"), "[^a-z0-9\n]+", " ")
+    seq = F.concat(F.lit("|"), F.regexp_replace(pieces, " ?\n[ \n]*", "|"), F.lit("|"))
+    seq = F.regexp_replace(F.regexp_replace(seq, r"\| ", "|"), r" \|", "|")
+    for sentence, i in sorted(WORDINGS, key=lambda x: (-len(x[0]), x[0])):
+        run = sentence.replace(" ", "[ |]")
+        seq = F.regexp_replace(seq, rf"(?<=\|)(?:(?:[0-9]{{1,2}}|[a-z])[ |])?{run}(?=\|)", f"<{i}>")
+    seq = F.replace(F.regexp_replace(seq, r"\|[a-z0-9 ]+(?=\|)", "|<->"), F.lit("|"), F.lit(""))
+    return F.when(anchored, F.regexp_replace(seq, "(<->)+", "<->")).otherwise(F.lit(""))
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id, sentence_ids, licences, n_unmatched``: the known sentences, the licences stated, and known sentences that no rule took."""
     found = docs.select(F.col(id_col).alias("doc_id"), recognise(F.col(text_col)).alias("seq"))
     left = F.col("seq")
-    for licence, run in RULES:
+    for licence, run in [*MORE_RULES, *RULES]:
         left = F.replace(left, F.lit("".join(f"<{x}>" for x in run)), F.lit(f"{{{licence}}}"))
     return found.withColumn("left", left).select(
         "doc_id",

@@ -39,3 +39,78 @@ def test_statements(spark):
 def test_the_plan_has_no_exchange_and_no_python(spark):
     plan = L.query(spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "Python" not in plan and "Arrow" not in plan
+
+
+MIT = """MIT License
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE.
+"""
+BSD = """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice,
+   this list of conditions and the following disclaimer.
+2) Redistributions in binary form must reproduce the above copyright
+   notice, this list of conditions and the following disclaimer in the
+   documentation and/or other materials provided with the distribution.
+"""
+GPL = """This {} is free software{} you can redistribute it and/or modify
+it under the terms of the GNU {}General Public License as published by
+the Free Software Foundation{} either version {} of the License, or
+(at your option) any later version.
+
+This {} is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details.
+"""
+APACHE = """Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License.
+"""
+ISC = """Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.
+"""
+
+
+def test_genuine_notices_wrapped_and_commented(spark):
+    notices = {
+        "MIT": MIT,
+        "BSD-2-Clause": BSD,
+        "GPL-2.0-or-later": GPL.format("program", ";", "", ";", "2", "program"),
+        "GPL-3.0-or-later": GPL.format("program", ":", "", ",", "3", "program"),
+        "LGPL-2.1-or-later": GPL.format("library", ";", "Lesser ", ";", "2.1", "library"),
+        "AGPL-3.0-or-later": GPL.format("program", ":", "Affero ", ",", "3", "program"),
+        "Apache-2.0": APACHE,
+        "ISC": ISC,
+    }
+    styles = [lambda t: t, lambda t: " ".join(t.removeprefix("MIT License").split()), lambda t: t.replace("\n", "\r\n"), *(lambda t, p=p: "x = 1\n" + "".join(f"{p}{line}\n" for line in t.split("\n")) + "y = 2" for p in ("# ", "// ", " * "))]
+    rows = [(k, style(t), name, "") for name, t in notices.items() for k, style in enumerate(styles)]
+    docs = spark.createDataFrame([(100 * n + k, t, "", "") for n, (k, t, _, _) in enumerate(rows)], SCHEMA)
+    got = {r.doc_id: (r.licences, r.n_unmatched) for r in L.scan(docs).collect()}
+    assert [got[100 * n + k] for n, (k, *_) in enumerate(rows)] == [(name, 0) for _, _, name, _ in rows]
