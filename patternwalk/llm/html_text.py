@@ -31,6 +31,8 @@ RAW = frozenset("script style textarea title noscript iframe template".split())
 BOILER = frozenset("nav footer aside form menu".split())
 BLOCK = frozenset("address article aside blockquote body center dd details div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main nav ol p pre section summary table tbody td tfoot th thead tr ul caption".split())
 CLOSES_P = BLOCK - frozenset("html body td th tr tbody thead tfoot caption".split())
+#: What may stand in the head of a page; anything else ends it.
+IN_HEAD = frozenset("base basefont bgsound link meta noframes noscript script style template title".split())
 HEADING = frozenset("h1 h2 h3 h4 h5 h6".split())
 #: An open element of the key's kind ends where one of these begins.
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td": {"td", "th", "tr"}, "th": {"td", "th", "tr"}, "option": {"option"}}
@@ -63,11 +65,19 @@ class Node:
 def parse(page: str) -> Node:
     """The tree of a page; text stands as strings among the children, its references decoded."""
     root = at = Node("html", None)
-    pos, n, find = 0, len(page), _TOKEN.search
+    pos, n, find, opened = 0, len(page), _TOKEN.search, False  # whether a head is open
+
+    def head(node: Node | None) -> Node | None:
+        while node is not None and node.name != "head":
+            node = node.parent
+        return node
 
     def text(a: int, b: int) -> None:
+        nonlocal at
         if a < b:
             t = page[a:b]
+            if at.name == "head" and not t.isspace():
+                at = at.parent
             at.children.append(_html.unescape(t) if "&" in t else t)
 
     while pos < n:
@@ -84,6 +94,10 @@ def parse(page: str) -> Node:
             continue
         name = name.lower()
         if m[1]:
+            if name == "head":  # ends whatever is open in it
+                up = head(at) if opened else None
+                at, opened = (up.parent, False) if up is not None else (at, opened)
+                continue
             up = at
             while up is not None and up.name != name:
                 # inline ends do not close blocks around them, nor do stray ones anything
@@ -93,6 +107,9 @@ def parse(page: str) -> Node:
             elif up is None and name == "p":
                 at.children.append(Node("p", at))
             continue
+        if opened and name not in IN_HEAD and name not in ("html", "head"):
+            up = head(at)
+            at, opened = up.parent if up is not None else at, False
         if name in ("html", "body"):
             continue
         if name in CLOSES_P:
@@ -109,6 +126,7 @@ def parse(page: str) -> Node:
                 at = up.parent
                 if name == "tr" and at.name == "tr":
                     at = at.parent
+        opened |= name == "head"
         node = Node(name, at, m[3])
         at.children.append(node)
         if name in RAW:

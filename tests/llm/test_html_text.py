@@ -51,3 +51,16 @@ def test_odd_rows(spark):
     got = H.extract(spark.createDataFrame(rows, SCHEMA)).collect()
     assert sorted((r.page_id or 0, r.text, r.n_chars) for r in got) == [(0, "x", 1), (1, "", 0), (1, "", 0)]
     assert H.extract(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
+def test_a_head_left_open(spark):
+    body = f"<div><p>{LONG}</p><p>{LONG}</p></div>"
+    for page in (
+        f"<html><head><title>No</title><meta charset=utf-8><body>{body}</body></html>",
+        f"<head><title>No</title><link rel=x href=y>{body}",
+        f"<html><head><title>No</title><custom-x></head><body>{body}</body></html>",
+        f"<html><head><meta name=a><style>p{{}}</style><div></head><body>{body}</body></html>",
+        f"<html><head></head><body>{body}</body></html>",
+    ):
+        assert H.main_text(page) == f"{LONG}\n\n{LONG}", page
+    assert H.main_text(f"<head><title>No</title>{LONG}") == LONG
