@@ -10,8 +10,12 @@ from pyspark.sql import functions as F
 from patternwalk.model import GraphDB
 from patternwalk.operators.kernel import Scores
 
-#: Support sets reach the workers as masks over this many hashed graphs at most; with fewer graphs they are exact.
+#: The width of the masks of the score ``s2_hashed``, which counts hashed graphs.
 SKETCH_GRAPHS = 1 << 16
+#: The masks of ``s2`` are exact at every number of graphs; more bytes of them than the driver takes are refused.
+MAX_MASK_BYTES = 1 << 30
+#: Graphs numbered in one task, about.
+NUMBERED = 1 << 14
 #: Edge types that the driver takes; more means labels that don't repeat, for which scores say nothing.
 MAX_TYPES = 200_000
 
@@ -36,11 +40,24 @@ def register_score(name: str, of_types: Callable) -> None:
     _CUSTOM[name] = of_types
 
 
+def _numbered(graphs: DataFrame, n: int) -> DataFrame:
+    """``gid, bit``: each graph with a number from 0 on, by hash classes of about ``NUMBERED`` graphs."""
+    own = graphs.withColumn("class", F.pmod(F.xxhash64("gid"), F.lit(n // NUMBERED + 1)))
+    sizes, starts, at = {r["class"]: r["count"] for r in own.groupBy("class").count().collect()}, [], 0
+    for k in sorted(sizes):
+        starts.append((k, at))
+        at += sizes[k]
+    first = graphs.sparkSession.createDataFrame(starts, "class long, first long")
+    rank = F.row_number().over(Window.partitionBy("class").orderBy("gid")) - 1
+    return own.withColumn("rank", rank).join(F.broadcast(first), "class").select("gid", (F.col("first") + F.col("rank")).alias("bit"))
+
+
 def score_table(db: GraphDB, types: DataFrame, name: str) -> Scores:
-    """What a worker needs to score a piece. At most ``MAX_TYPES`` numbers and, for ``s2``, a mask of ``SKETCH_GRAPHS`` bits each reach the driver.
+    """What a worker needs to score a piece. At most ``MAX_TYPES`` numbers and, for ``s2``, an exact mask of one bit a graph for each of them reach the driver.
 
-    Above ``SKETCH_GRAPHS`` graphs, ``s2`` counts hashed graphs: a fixed positive score, so the
-    walk stays exact for its target. ``s2_bound`` is the least support among the types, which needs no masks.
+    ``s2`` is the number of graphs at every size; masks of over ``MAX_MASK_BYTES`` are an error.
+    ``s2_hashed`` counts hashed graphs in masks of ``SKETCH_GRAPHS`` bits, a positive score of its own that may be
+    below or above ``s2``. ``s2_bound`` is the least support among the types, which needs no masks.
     """
     if name in _CUSTOM:
         return Scores(name, custom=_CUSTOM[name])
@@ -52,11 +69,13 @@ def score_table(db: GraphDB, types: DataFrame, name: str) -> Scores:
     support = [r.support for r in rows]
     if name in ("s1", "s2_bound"):
         return Scores(name, support)
-    if name != "s2":
+    if name not in ("s2", "s2_hashed"):
         raise ValueError(name)
-    n = db.vertices.select("gid").distinct().count()
-    if n <= SKETCH_GRAPHS:
-        place = db.vertices.select("gid").distinct().withColumn("bit", F.row_number().over(Window.orderBy("gid")) - 1)
+    if name == "s2":
+        n = db.vertices.select("gid").distinct().count()
+        if len(support) * n > 8 * MAX_MASK_BYTES:
+            raise ValueError(f"exact masks of {n} graphs for {len(support)} edge types are over {MAX_MASK_BYTES} bytes; s2_hashed and s2_bound are scores of their own")
+        place = _numbered(db.vertices.select("gid").distinct(), n)
     else:
         place = db.vertices.select("gid").distinct().withColumn("bit", F.pmod(F.xxhash64("gid"), F.lit(SKETCH_GRAPHS)))
     pairs = db.typed_edges().withColumnRenamed("elabel", "el").join(F.broadcast(types.select("etype", "la", "el", "lb")), ["la", "el", "lb"]).select("gid", "etype").distinct()
@@ -64,7 +83,7 @@ def score_table(db: GraphDB, types: DataFrame, name: str) -> Scores:
     ids = [0] * len(support)
     for r in bucketed.collect():
         ids[r.etype] |= int.from_bytes(bytes(r.bits), "little") << (32768 * int(r.part))
-    return Scores(name, support, ids)
+    return Scores("s2", support, ids)
 
 
 def piece_types(db: GraphDB, pieces: DataFrame, types: DataFrame) -> DataFrame:

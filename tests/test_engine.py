@@ -183,3 +183,21 @@ def test_plans(users):
     assert "BroadcastHashJoin" in packed
     near = builders.proximity(users.spark, SF).edges._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in near and "NestedLoop" not in near and "props" not in near
+
+
+def test_s2_is_exact_at_every_number_of_graphs(spark, monkeypatch):
+    from patternwalk.model import EDGES, VERTICES, GraphDB
+    from patternwalk.operators import support as S
+
+    monkeypatch.setattr(S, "SKETCH_GRAPHS", 8)
+    monkeypatch.setattr(S, "NUMBERED", 7, raising=False)
+    v = [(g, i, c) for g in range(60) for i, c in enumerate("ABC" if g % 3 else "AAB")]
+    e = [(g, 0, 1, "x") for g in range(60)] + [(g, 1, 2, "x") for g in range(60) if g % 2]
+    db = GraphDB(spark.createDataFrame(v, VERTICES), spark.createDataFrame(e, EDGES))
+    types = S.edge_support(db, sets=True)
+    rows = {r.etype: set(r.tids) for r in types.collect()}
+    scores = S.score_table(db, types, "s2")
+    for a in rows:
+        for b in rows:
+            assert scores.of([a, b]) == (max(1, len(rows[a] & rows[b])), 1)
+    assert S.score_table(db, types, "s2_hashed").of([0])[0] <= 8
