@@ -42,14 +42,18 @@ def mine_complete(db: GraphDB, minsup: int | float, max_size: int | None = None,
     embedding by every frequent edge next to it; ``levelwise`` also drops a candidate
     unless all its connected sub-patterns of one edge less were frequent. ``max_size`` caps
     vertices, ``stop_after`` the patterns expanded (the early-stopped form: what it has is not representative).
-    With ``induced``, vertex sets are enumerated instead and sizes go up to ``max_size``.
+    With ``induced``, vertex sets are enumerated instead and sizes go up to ``max_size``, or to the first size without a frequent pattern.
     """
     least = _least(db, minsup)
     if induced:
-        out = []
-        for p in range(2, (max_size or 4) + 1):
+        out, p = [], 2
+        while max_size is None or p <= max_size:
             t = ground_truth(db, p).where(F.col("support") >= least)
-            out.append(t.select("code", F.lit(p).alias("n_vertices"), F.size(F.split("code", ";")).alias("n_edges"), "support"))
+            t = t.select("code", F.lit(p).alias("n_vertices"), F.size(F.split("code", ";")).alias("n_edges"), "support")
+            out.append(t if max_size is not None else cut(t, "induced"))
+            if max_size is None and not out[-1].limit(1).count():
+                break
+            p += 1
         return reduce(DataFrame.unionByName, out)
     spark = db.spark
     types = edge_support(db)
@@ -191,16 +195,28 @@ def discriminative(coded: DataFrame, classes: DataFrame) -> DataFrame:
     return whole.select("code", "support_0", "support_1", F.abs(a / n0 - b / n1).alias("difference"), gain.alias("gain"))
 
 
-def mine_distinct_labels(db: GraphDB, minsup: int | float) -> DataFrame:
-    """Frequent edges and paths of two edges where vertex labels are distinct in each graph: no isomorphism, no code, a plain relation."""
+def mine_distinct_labels(db: GraphDB, minsup: int | float, max_edges: int | None = None) -> DataFrame:
+    """Frequent connected edge sets where vertex labels are distinct in each graph: no isomorphism, no code, a plain relation.
+
+    A frequent set grows by every frequent edge of its graph that touches it, level by level, until no set is frequent.
+    """
     least = _least(db, minsup)
-    e = db.typed_edges().select("gid", "la", "elabel", "lb")
-    one = e.distinct().groupBy(F.concat_ws(",", "la", "elabel", "lb").alias("code")).agg(F.count("*").alias("support")).where(F.col("support") >= least).withColumn("n_edges", F.lit(1))
-    keep = one.select(F.col("code").alias("k"))
-    often = e.withColumn("k", F.concat_ws(",", "la", "elabel", "lb")).join(keep, "k", "left_semi").distinct()
-    ends = often.select("gid", "k", F.explode(F.array("la", "lb")).alias("v"))
-    two = ends.alias("x").join(ends.alias("y"), (F.col("x.gid") == F.col("y.gid")) & (F.col("x.v") == F.col("y.v")) & (F.col("x.k") < F.col("y.k"))).select(F.col("x.gid").alias("gid"), F.concat_ws(";", "x.k", "y.k").alias("code")).distinct()
-    return one.unionByName(two.groupBy("code").agg(F.count("*").alias("support")).where(F.col("support") >= least).withColumn("n_edges", F.lit(2)))
+    e = db.typed_edges().select("gid", "la", "elabel", "lb", F.concat_ws(",", "la", "elabel", "lb").alias("k")).distinct()
+    one = cut(e.groupBy("k").agg(F.count("*").alias("support")).where(F.col("support") >= least), "frequent")
+    often = cut(e.join(one.select("k"), "k", "left_semi").select("gid", "k", F.array_distinct(F.array("la", "lb")).alias("ends")), "often")
+    at = often.select("gid", "k", "ends", F.explode("ends").alias("v"))
+    out, n = [one.select(F.col("k").alias("code"), "support", F.lit(1).alias("n_edges"))], 1
+    live = often.select("gid", F.array("k").alias("ks"), F.array_sort("ends").alias("vs"))
+    while max_edges is None or n < max_edges:
+        n += 1
+        near = live.withColumn("v", F.explode("vs")).join(at, ["gid", "v"]).where(~F.array_contains("ks", F.col("k")))
+        grown = cut(near.select("gid", F.array_sort(F.array_append("ks", F.col("k"))).alias("ks"), F.array_sort(F.array_union("vs", "ends")).alias("vs")).distinct(), "grown")
+        found = cut(grown.groupBy("ks").agg(F.count("*").alias("support")).where(F.col("support") >= least), "frequent")
+        if not found.limit(1).count():
+            break
+        out.append(found.select(F.array_join("ks", ";").alias("code"), "support", F.lit(n).alias("n_edges")))
+        live = grown.join(found.select("ks"), "ks", "left_semi")
+    return reduce(DataFrame.unionByName, out)
 
 
 def class_of(db: GraphDB) -> DataFrame:

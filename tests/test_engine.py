@@ -201,3 +201,28 @@ def test_s2_is_exact_at_every_number_of_graphs(spark, monkeypatch):
         for b in rows:
             assert scores.of([a, b]) == (max(1, len(rows[a] & rows[b])), 1)
     assert S.score_table(db, types, "s2_hashed").of([0])[0] <= 8
+
+
+def test_distinct_labels_beyond_two_edges(spark):
+    from itertools import combinations
+
+    from patternwalk.model import EDGES, VERTICES, GraphDB
+
+    shapes = [[(0, 1), (1, 2), (0, 2), (2, 3), (3, 4)], [(0, 1), (1, 2), (0, 2), (2, 3)], [(0, 1), (1, 2), (2, 3), (3, 4)]]
+    v = [(g, i, "ABCDE"[i]) for g in range(3) for i in range(5)]
+    db = GraphDB(spark.createDataFrame(v, VERTICES), spark.createDataFrame([(g, a, b, "x") for g, es in enumerate(shapes) for a, b in es], EDGES))
+
+    def connected(es):
+        grown = set(es[0])
+        for _ in es:
+            grown |= {x for e in es if grown & set(e) for x in e}
+        return all(set(e) <= grown for e in es)
+
+    want = {}
+    for es in {c for s in shapes for n in range(1, 6) for c in combinations(sorted(s), n) if connected(c)}:
+        if (support := sum(set(es) <= set(s) for s in shapes)) >= 2:
+            want[";".join(sorted(f"{'ABCDE'[a]},x,{'ABCDE'[b]}" for a, b in es))] = (support, len(es))
+    assert max(n for _, n in want.values()) == 4
+    assert {r.code: (r.support, r.n_edges) for r in B.mine_distinct_labels(db, 2).collect()} == want
+    paths = GraphDB(db.vertices.where("gid < 2"), spark.createDataFrame([(g, a, a + 1, "x") for g in range(2) for a in range(4)], EDGES))
+    assert {r.n_vertices for r in B.mine_complete(paths, 2, induced=True).collect()} == {2, 3, 4, 5}
