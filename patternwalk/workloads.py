@@ -499,13 +499,13 @@ def _experiment(spark, sf_dir, alphabet, scores, k, ms, p=3, chains=3):
 @register("w1_complete_by_size")
 def _(spark, sf_dir):
     db = prox(spark, sf_dir).stored()
-    return reduce(DataFrame.unionByName, [B.mine_complete(db, 0.8, max_size=n, max_edges=2).agg(F.count("*").alias("patterns")).withColumn("max_size", F.lit(n)) for n in (2, 3)])
+    return reduce(DataFrame.unionByName, [B.mine_complete(db, 0.4, max_size=n).agg(F.count("*").alias("patterns")).withColumn("max_size", F.lit(n)) for n in (2, 3, 4, 5)])
 
 
 @register("w2_complete_by_support")
 def _(spark, sf_dir):
     db = prox(spark, sf_dir).stored()
-    return reduce(DataFrame.unionByName, [B.mine_complete(db, x, max_size=3, max_edges=2).agg(F.count("*").alias("patterns")).withColumn("minsup", F.lit(x)) for x in (0.9, 0.8, 0.7)])
+    return reduce(DataFrame.unionByName, [B.mine_complete(db, x, max_size=4).agg(F.count("*").alias("patterns")).withColumn("minsup", F.lit(x)) for x in (0.28, 0.22, 0.17, 0.11)])
 
 
 @register("w4_quality_by_iterations")

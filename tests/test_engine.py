@@ -226,3 +226,20 @@ def test_distinct_labels_beyond_two_edges(spark):
     assert {r.code: (r.support, r.n_edges) for r in B.mine_distinct_labels(db, 2).collect()} == want
     paths = GraphDB(db.vertices.where("gid < 2"), spark.createDataFrame([(g, a, a + 1, "x") for g in range(2) for a in range(4)], EDGES))
     assert {r.n_vertices for r in B.mine_complete(paths, 2, induced=True).collect()} == {2, 3, 4, 5}
+
+
+def test_complete_experiments_have_no_edge_cap(monkeypatch):
+    from patternwalk import workloads
+
+    seen = []
+
+    class Found:
+        agg = withColumn = unionByName = lambda self, *a: self
+
+    monkeypatch.setattr(workloads, "prox", lambda *a: type("D", (), {"stored": lambda self: self})())
+    monkeypatch.setattr(workloads, "F", type("F", (), {"count": lambda x: type("C", (), {"alias": lambda self, n: n})(), "lit": lambda x: x}))
+    monkeypatch.setattr(workloads, "reduce", lambda f, xs: list(xs))
+    monkeypatch.setattr(workloads.B, "mine_complete", lambda db, x, **how: seen.append((x, how)) or Found())
+    workloads.QUERIES["w1_complete_by_size"](None, "")
+    workloads.QUERIES["w2_complete_by_support"](None, "")
+    assert seen == [(0.4, {"max_size": n}) for n in (2, 3, 4, 5)] + [(x, {"max_size": 4}) for x in (0.28, 0.22, 0.17, 0.11)]
