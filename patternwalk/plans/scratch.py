@@ -1,17 +1,21 @@
 """Cut points of long plans: a Parquet table in the folder that the cluster shares.
 
 A cut table outlives the executors that wrote it, so a lost executor costs only
-the tasks it was running, and a loop's plan stays as short as one round.
+the tasks it was running, and a loop's plan stays as short as one round. Who cuts
+drops: operators delete a cut table once its successor is written.
 """
 
 from __future__ import annotations
 
-import gc
+import contextlib
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: While it is set, Spark deletes a query's shuffle files when the query ends.
+_TIDY = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _OWN: dict[str, str] = {}
 
 
@@ -30,6 +34,20 @@ def shared_dir(spark: SparkSession) -> str:
     return _OWN[app]
 
 
+@contextlib.contextmanager
+def tidy(spark: SparkSession) -> Iterator[None]:
+    """Queries that run in here leave no shuffle files behind."""
+    before = spark.conf.get(_TIDY, None)
+    spark.conf.set(_TIDY, "true")
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(_TIDY)
+        else:
+            spark.conf.set(_TIDY, before)
+
+
 def cut(df: DataFrame, name: str, partition_by: list[str] | None = None) -> DataFrame:
     """Write ``df`` once and go on from the written rows."""
     spark = df.sparkSession
@@ -37,14 +55,19 @@ def cut(df: DataFrame, name: str, partition_by: list[str] | None = None) -> Data
     writer = df.write
     if partition_by:
         writer = writer.partitionBy(*partition_by)
-    writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    with tidy(spark):
+        writer.parquet(path)
+    held = spark.read.schema(df.schema).parquet(path)
+    held.cut_path = path
+    return held
 
 
-def release(spark: SparkSession) -> None:
-    """Let Spark's cleaner delete the shuffle files of finished stages now, not when the driver next collects its garbage."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+def drop(*frames: DataFrame) -> None:
+    """Delete cut tables that nothing reads any more: frames as :func:`cut` gave them."""
+    for df in frames:
+        spark = df.sparkSession
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(df.cut_path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
 def sweep(spark: SparkSession) -> None:
