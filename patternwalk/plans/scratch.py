@@ -48,11 +48,13 @@ def tidy(spark: SparkSession) -> Iterator[None]:
             spark.conf.set(_TIDY, before)
 
 
-def cut(df: DataFrame, name: str, partition_by: list[str] | None = None) -> DataFrame:
-    """Write ``df`` once and go on from the written rows."""
+def cut(df: DataFrame, name: str, partition_by: list[str] | None = None, hashes: bool = False) -> DataFrame:
+    """Write ``df`` once and go on from the written rows. ``hashes``: most columns are, so dictionaries of them would be built for nothing."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/cut-{name}-{uuid.uuid4().hex}"
     writer = df.write
+    if hashes:
+        writer = writer.option("parquet.enable.dictionary", "false")
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     with tidy(spark):
