@@ -27,12 +27,15 @@ from __future__ import annotations
 
 import unicodedata
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from patternwalk.llm.lean import tidily
+
 SAMPLE_CHARS = 12_000
 #: Labelled characters a language, beyond those, on which its own rate of phrases is measured.
 RATE_CHARS = 6_000
@@ -41,6 +44,8 @@ SAMPLE_ROWS = 64
 MAX_LANGUAGES = 256
 CLASSES = 48
 _BREAK, _OTHER = 0, 1
+#: Code points there are.
+_SPACE = 0x110000
 
 
 def held_out(id_col: str = "doc_id") -> Column:
@@ -48,10 +53,11 @@ def held_out(id_col: str = "doc_id") -> Column:
     return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 4 == 2, F.lit(False))
 
 
+@lru_cache(maxsize=1)
 def _letters() -> tuple[np.ndarray, np.ndarray]:
-    """For each character of the basic plane: its lower case, and whether it is a letter."""
-    lower, letter = np.arange(0x10000, dtype=np.uint32), np.zeros(0x10000, bool)
-    for i in range(0x10000):
+    """For each code point: its lower case, and whether it is a letter."""
+    lower, letter = np.arange(_SPACE, dtype=np.uint32), np.zeros(_SPACE, bool)
+    for i in range(_SPACE):
         c = chr(i)
         if unicodedata.category(c)[0] == "L":
             letter[i] = True
@@ -126,15 +132,15 @@ class Model:
     def __init__(self, samples: dict[str, list[str]], sample_chars: int = SAMPLE_CHARS, rate_chars: int = RATE_CHARS) -> None:
         self.languages = sorted(samples)
         lower, letter = _letters()
-        seen = np.zeros(0x10000, np.int64)
+        seen = np.zeros(_SPACE, np.int64)
         raw = {lang: np.concatenate([self._points(t) for t in texts] or [np.zeros(0, np.uint32)]) for lang, texts in samples.items()}
         for points in raw.values():
-            seen += np.bincount(lower[points], minlength=0x10000)
-        seen[~letter[np.arange(0x10000)]] = 0
+            seen += np.bincount(lower[points], minlength=_SPACE)
+        seen[~letter[np.arange(_SPACE)]] = 0
         known = np.argsort(-seen, kind="stable")[: CLASSES - 2]
         known = known[seen[known] > 0]
         self.class_of = np.where(letter, _OTHER, _BREAK).astype(np.uint8)
-        of_lower = np.full(0x10000, _OTHER, np.uint8)
+        of_lower = np.full(_SPACE, _OTHER, np.uint8)
         of_lower[known] = np.arange(2, 2 + len(known))
         self.class_of[letter] = of_lower[lower[letter]]
         tables, base, self.rates = [], 0, []
@@ -155,8 +161,7 @@ class Model:
 
     @staticmethod
     def _points(text: str) -> np.ndarray:
-        points = np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)
-        return np.where(points < 0x10000, points, 0x3F)  # characters beyond the basic plane count as breaks
+        return np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32)
 
     @staticmethod
     def _squeeze(symbols: np.ndarray) -> np.ndarray:
@@ -248,7 +253,7 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
                 yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(names))), pa.array(langs, pa.string()), pa.array(score, pa.float64()), pa.array(rate, pa.float64())], names=[*names, "lang_pred", "score", "rate"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields[:-1])
-    return kept.mapInArrow(run, f"{fields}, lang_pred string, score double, rate double")
+    return kept.mapInArrow(tidily(run), f"{fields}, lang_pred string, score double, rate double")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -1,15 +1,16 @@
 """Groups of near-copies: texts whose word shingles have a Jaccard similarity of at least a threshold, by an exact join.
 
 1. *Equal sets* of shingles collapse to one node, so that copies of any number are compared once.
-2. *Prefixes.* Similar sets of ``n`` shingles share one of the first ``n - ceil(t n) + 1`` of a global order. The
+2. *Fingerprints.* Texts whose SimHash fingerprints the BK-trees of operator 10 link are compared; most copies meet here.
+3. *Prefixes.* Similar sets of ``n`` shingles share one of the first ``n - ceil(t n) + 1`` of a global order. The
    order is rarity in a sample of the texts, then hash: any order finds all pairs, and the sample only makes it fast.
-3. *Stars.* All sets that share a prefix shingle are compared with the least of them, at one comparison a set,
+4. *Stars.* All sets that share a prefix shingle are compared with the least of them, at one comparison a set,
    which settles most groups of many near-copies.
-4. *Pairs.* What shares a prefix shingle and is not yet in one component is compared pair by pair, unless lengths
+5. *Pairs.* What shares a prefix shingle and is not yet in one component is compared pair by pair, unless lengths
    and places rule out the overlap.
-5. *Sketches.* The parities of a set's shingles in ``SKETCH`` hash classes: two sketches differ in no more bits than the
+6. *Sketches.* The parities of a set's shingles in ``SKETCH`` hash classes: two sketches differ in no more bits than the
    sets in shingles, so a pair whose sketches differ in more than similar sets can is dropped without its texts.
-6. *Verify.* A pair links only if its sets, worked out from the texts again, are similar enough. Groups are connected components.
+7. *Verify.* A pair links only if its sets, worked out from the texts again, are similar enough. Groups are connected components.
 
 Defined results: a text without a word has the empty text's one shingle, fewer words than a shingle are one shingle.
 Rows without an id take no part. An empty table gives an empty result.
@@ -25,12 +26,12 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from patternwalk.llm.lean import tidily
 from patternwalk.llm.line_dedup import bounded
-from patternwalk.llm.simhash import components
-from patternwalk.plans.scratch import cut
+from patternwalk.llm.simhash import components, links, majority, shingle_hashes
+from patternwalk.plans.scratch import cut, drop
 
 THRESHOLD = 0.8
-_SEED = 42
 #: One text in so many is counted for the order; shingles that the sample has at least so often come last.
 SAMPLE, OFTEN = 16, 3
 #: The commonest shingles that reach the workers at most.
@@ -41,13 +42,7 @@ SKETCH = 2048
 
 def shingles(text: str | None, width: int = 5) -> np.ndarray:
     """The distinct hashes of a text's shingles, ascending."""
-    words = (text or "").encode("utf-8", "replace").lower().split()
-    joined, digest = b" ".join(words), xxhash.xxh64_intdigest
-    if len(words) <= width:
-        return np.array([digest(joined, _SEED)], np.uint64)
-    ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
-    starts = np.concatenate(([0], ends[:-1] + 1)).tolist()
-    return np.unique(np.fromiter((digest(joined[a:b], _SEED) for a, b in zip(starts, ends[width - 1 :].tolist())), np.uint64))
+    return np.unique(shingle_hashes(text, width))
 
 
 def _sig(own: np.ndarray) -> int:
@@ -71,7 +66,7 @@ def _per_text(docs: DataFrame, of_text, schema: str, types: list[pa.DataType]) -
                 columns = [pa.array(np.concatenate([x[k] for x in found]) if t != pa.binary() else [b for x in found for b in x[k]], t) for k, t in enumerate(types)]
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), *columns], names=names)
 
-    return docs.select("doc_id", "text").mapInArrow(run, schema)
+    return docs.select("doc_id", "text").mapInArrow(tidily(run), schema)
 
 
 def _least(t: float, n):
@@ -116,9 +111,9 @@ def _fits(x: str, y: str, threshold: float) -> Column:
 
 
 def _similar(pairs: DataFrame, docs: DataFrame, firsts: DataFrame, width: int, threshold: float) -> DataFrame:
-    """``u, v`` of the pairs whose sets are similar; the sets come from one text each."""
-    sketches = firsts.select("sig", "n", "sketch")
-    one, two = (sketches.select(F.col("sig").alias(e), F.col("n").alias(f"n{e}"), F.col("sketch").alias(f"s{e}")) for e in "uv")
+    """``u, v`` of the pairs whose sets are similar, as a cut table; the sets come from one text each."""
+    facts = firsts.select("sig", "n", "sketch")
+    one, two = (facts.select(F.col("sig").alias(e), F.col("n").alias(f"n{e}"), F.col("sketch").alias(f"s{e}")) for e in "uv")
 
     def alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -129,14 +124,15 @@ def _similar(pairs: DataFrame, docs: DataFrame, firsts: DataFrame, width: int, t
 
     pairs = cut(pairs.join(one, "u").join(two, "v").select("u", "v", "nu", "nv", "su", "sv").mapInArrow(alike, "u long, v long"), "alike")
     ends = pairs.select(F.col("u").alias("sig")).unionByName(pairs.select(F.col("v").alias("sig"))).distinct()
-    wanted = bounded(cut(ends.join(firsts, "sig").select(F.col("first_id").alias("wanted_id")).distinct(), "wanted"))
-    texts = docs.join(wanted, docs.doc_id == wanted.wanted_id, "left_semi")
+    wanted = cut(ends.join(firsts, "sig").select(F.col("first_id").alias("wanted_id")).distinct(), "wanted")
+    texts = docs.join(bounded(wanted), docs.doc_id == wanted.wanted_id, "left_semi")
 
     def of_text(text: str | None):
         own = shingles(text, width)
         return np.array([_sig(own)]), [own.tobytes()]
 
-    sets = cut(_per_text(texts, of_text, "doc_id long, sig long, own binary", [pa.int64(), pa.binary()]).dropDuplicates(["sig"]), "sets")
+    held = cut(_per_text(texts, of_text, "doc_id long, sig long, own binary", [pa.int64(), pa.binary()]).drop("doc_id"), "sets")
+    sets = held.dropDuplicates(["sig"])
     both = pairs.join(sets.select(F.col("sig").alias("u"), F.col("own").alias("a")), "u").join(sets.select(F.col("sig").alias("v"), F.col("own").alias("b")), "v")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,41 +144,63 @@ def _similar(pairs: DataFrame, docs: DataFrame, firsts: DataFrame, width: int, t
                 good.append(shared >= threshold * (len(a) + len(b) - shared) - 1e-9)
             yield batch.select([0, 1]).filter(pa.array(good, pa.bool_()))
 
-    return cut(both.select("u", "v", "a", "b").mapInArrow(run, "u long, v long"), "similar")
+    out = cut(both.select("u", "v", "a", "b").mapInArrow(run, "u long, v long"), "similar")
+    drop(pairs, wanted, held)
+    return out
 
 
-def near_copy_groups(docs: DataFrame, width: int = 5, threshold: float = THRESHOLD) -> DataFrame:
-    """``doc_id, component_id`` for each row of ``docs`` with an id; ``component_id`` is the group's smallest id."""
+def near_copy_groups(docs: DataFrame, width: int = 5, threshold: float = THRESHOLD, radius: int = 4) -> DataFrame:
+    """``doc_id, fp, component_id`` for each row of ``docs`` with an id; ``component_id`` is the group's smallest id."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id IS NOT NULL")
 
     def facts(text: str | None):
-        own = shingles(text, width)
-        return np.array([_sig(own)]), np.array([len(own)]), [_sketch(own)]
-
-    rows = cut(_per_text(docs, facts, "doc_id long, sig long, n long, sketch binary", [pa.int64(), pa.int64(), pa.binary()]), "sigs")
-    firsts = cut(rows.groupBy("sig").agg(F.min("doc_id").alias("first_id"), F.first("n").alias("n"), F.first("sketch").alias("sketch")), "first-texts")
-    copies = bounded(cut(rows.select("doc_id").distinct().join(firsts.select(F.col("first_id").alias("doc_id")), "doc_id", "left_anti"), "copies"))
-    own = docs.join(copies, "doc_id", "left_anti")
+        hashes = shingle_hashes(text, width)
+        own = np.unique(hashes)
+        return np.array([_sig(own)]), np.array([len(own)]), np.array([majority(hashes)], np.uint64).view(np.int64), [_sketch(own)]
+
+    rows = cut(_per_text(docs, facts, "doc_id long, sig long, n long, fp long, sketch binary", [pa.int64(), pa.int64(), pa.int64(), pa.binary()]), "sigs")
+    firsts = cut(rows.groupBy("sig").agg(F.min("doc_id").alias("first_id"), F.first("n").alias("n"), F.min("fp").alias("fp"), F.first("sketch").alias("sketch")), "first-texts")
+
+    by_print = firsts.groupBy("fp").agg(F.min("sig").alias("head"))
+    same = firsts.join(by_print, "fp").where("sig != head").select(F.col("head").alias("u"), F.col("sig").alias("v"))
+    found = cut(links(by_print.select("fp"), radius), "print-links")
+    heads = lambda end: by_print.select(F.col("fp").alias(end), F.col("head").alias(f"{end}_sig"))
+    met = found.join(heads("u"), "u").join(heads("v"), "v").select(F.col("u_sig").alias("u"), F.col("v_sig").alias("v"))
+    met = cut(same.unionByName(met).distinct(), "prints-met")
+    near = _similar(met, docs, firsts, width, threshold)
+    drop(found, met)
+
+    copies = cut(rows.select("doc_id").distinct().join(firsts.select(F.col("first_id").alias("doc_id")), "doc_id", "left_anti"), "copies")
+    own = docs.join(bounded(copies), "doc_id", "left_anti")
     by_key = Window.partitionBy("key")
     whole = by_key.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
     postings = _prefixes(own, width, threshold).select("key", "sig", "n", "at")
     met = postings.select("*", F.min(F.struct("sig", "n", "at")).over(whole).alias("head"), F.max("sig").over(whole).alias("last"))
     shared = cut(met.where(F.col("head.sig") != F.col("last")).drop("last"), "shared")
-
-    heads = shared.select(F.struct("sig", "n", "at").alias("x"), F.col("head").alias("y")).where((F.col("x.sig") != F.col("y.sig")) & _fits("x", "y", threshold))
-    stars = cut(heads.select(F.col("y.sig").alias("u"), F.col("x.sig").alias("v")).distinct(), "stars")
-    links = _similar(stars, docs, firsts, width, threshold)
-    roots = cut(components(links).distinct(), "star-roots")
+    drop(copies)
+
+    roots = components(near)
+    named = shared.join(roots, shared.sig == roots.node, "left").select(*shared.columns, F.coalesce("root", "sig").alias("root"))
+    head_root = roots.select(F.col("node").alias("head_node"), F.col("root").alias("head_root"))
+    apart = named.join(head_root, named["head.sig"] == head_root.head_node, "left").where(F.coalesce("head_root", "head.sig") != F.col("root"))
+    meeting = apart.select(F.struct("sig", "n", "at").alias("x"), F.col("head").alias("y")).where((F.col("x.sig") != F.col("y.sig")) & _fits("x", "y", threshold))
+    stars = cut(meeting.select(F.col("y.sig").alias("u"), F.col("x.sig").alias("v")).distinct(), "stars")
+    starred = _similar(stars, docs, firsts, width, threshold)
+    drop(roots)
+    roots = components(near.unionByName(starred))
 
     named = shared.join(roots, shared.sig == roots.node, "left").select("key", "sig", "n", "at", F.coalesce("root", "sig").alias("root"))
     open_keys = cut(named.select("*", F.min("root").over(whole).alias("low"), F.max("root").over(whole).alias("high")).where("low != high").drop("low", "high"), "open")
     x, y = open_keys.alias("x"), open_keys.alias("y")
     meet = (F.col("x.key") == F.col("y.key")) & (F.col("x.sig") < F.col("y.sig")) & (F.col("x.root") != F.col("y.root")) & _fits("x", "y", threshold)
     pairs = cut(x.join(y, meet).select(F.col("x.sig").alias("u"), F.col("y.sig").alias("v")).distinct().join(stars, ["u", "v"], "left_anti"), "pairs")
-    links = links.unionByName(_similar(pairs, docs, firsts, width, threshold))
-
-    roots = cut(components(links).distinct(), "roots")
+    drop(shared, open_keys, stars, roots)
+    rest = _similar(pairs, docs, firsts, width, threshold)
+    roots = components(near.unionByName(starred).unionByName(rest))
+    drop(pairs, near, starred, rest)
     member = firsts.join(roots, firsts.sig == roots.node, "left").select("sig", "first_id", F.coalesce("root", "sig").alias("root"))
     group = member.groupBy("root").agg(F.min("first_id").alias("component_id"))
     named = member.join(group, "root").select(F.col("sig").alias("node"), "component_id")
-    return rows.join(named, rows.sig == named.node).select("doc_id", "component_id")
+    groups = cut(rows.join(named, rows.sig == named.node).select("doc_id", "fp", "component_id"), "groups")
+    drop(rows, firsts, roots)
+    return groups

@@ -39,6 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from patternwalk.llm.lean import tidily
 from patternwalk.llm.mixing import place
 from patternwalk.plans.scratch import cut
 
@@ -47,7 +48,9 @@ GRAIN = 8
 END_ID = 2
 VOCABULARY = "word_bpe_49k.json"
 #: Distinct words whose ids a worker remembers, and the longest of them.
-MEMO, MEMO_CHARS = 300_000, 40
+MEMO, MEMO_CHARS = 200_000, 40
+#: Pieces of the most common class that are ranked in one task, about.
+BUCKET = 20_000
 #: A rest may also be cut at multiples of the capacity halved so often; used only where sequences would hold too much padding without.
 LEVELS = 4
 ENOUGH = 1.01
@@ -145,7 +148,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
                     rows += [(doc, s, size, zlib.crc32(ids[4 * s : 4 * (s + size)]), n, levels) for s, size, levels in cut_levels(n, capacity)]
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 6, schema=schema)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, _PIECE)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidily(run), _PIECE)
 
 
 def best_pattern(sizes: np.ndarray, prices: np.ndarray, room: int) -> tuple[float, np.ndarray]:
@@ -269,12 +272,11 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULARY
             break
     _, level, counted, patterns = best
     cuts = every.where(F.col("levels").bitwiseAND(1 << level) != 0)
-    # Seeded buckets of about 50,000 pieces of the most common class, at most 512 of them.
-    buckets = max(1, min(512, max(counted.values(), default=0) // 50_000))
+    buckets = max(1, max(counted.values(), default=0) // BUCKET)  # seeded
     bucketed = cuts.withColumn("bucket", (F.col("place") % F.lit(buckets)).cast("int"))
     base = bucketed.groupBy("grade", "bucket").count().select(F.col("grade").alias("g"), F.col("bucket").alias("b"), F.coalesce(F.sum("count").over(Window.partitionBy("grade").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
     order = Window.partitionBy("grade", "bucket").orderBy("place", "doc_id", "start")
-    ranked = bucketed.join(F.broadcast(base), (F.col("grade") == F.col("g")) & (F.col("bucket") == F.col("b"))).withColumn("rank", F.col("base") + F.row_number().over(order) - 1)
+    ranked = bucketed.join(base, (F.col("grade") == F.col("g")) & (F.col("bucket") == F.col("b"))).withColumn("rank", F.col("base") + F.row_number().over(order) - 1)
 
     # The slots: from which rank on a class's pieces go to which pattern.
     at, first_rank, slots = 0, dict.fromkeys(counted, 0), []

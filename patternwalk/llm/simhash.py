@@ -41,7 +41,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from patternwalk.plans.scratch import cut
+from patternwalk.plans.scratch import cut, drop
 
 #: The bits of each byte value, most significant first.
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1).astype(np.int64)
@@ -50,18 +50,29 @@ _SEED = 42
 _SMALL = 48
 
 
-def fingerprint(text: str | None, width: int = 4) -> int:
-    """The unsigned 64-bit fingerprint of a text."""
+def shingle_hashes(text: str | None, width: int = 4) -> np.ndarray:
+    """The hash of each shingle of a text, repeats included; of fewer words than a shingle, that of the whole sequence."""
     words = (text or "").encode("utf-8", "replace").lower().split()
-    if not words:
-        return 0
     joined = b" ".join(words)
     digest = xxhash.xxh64_intdigest
     if len(words) <= width:
-        return digest(joined, _SEED)
+        return np.array([digest(joined, _SEED)], np.uint64)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     starts = np.concatenate(([0], ends[:-1] + 1)).tolist()
-    hashes = np.fromiter((digest(joined[a:b], _SEED) for a, b in zip(starts, ends[width - 1 :].tolist())), np.uint64)
+    return np.fromiter((digest(joined[a:b], _SEED) for a, b in zip(starts, ends[width - 1 :].tolist())), np.uint64)
+
+
+def fingerprint(text: str | None, width: int = 4) -> int:
+    """The unsigned 64-bit fingerprint of a text."""
+    if text is None or not text.encode("utf-8", "replace").split():
+        return 0
+    return majority(shingle_hashes(text, width))
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes."""
+    if len(hashes) == 1:
+        return int(hashes[0])
     columns = hashes.astype(">u8").view(np.uint8).reshape(-1, 8) + np.arange(0, 2048, 256, dtype=np.int64)
     seen = np.bincount(columns.ravel(), minlength=2048).reshape(8, 256)
     return int.from_bytes(np.packbits((seen @ _BITS).ravel() * 2 > len(hashes)).tobytes(), "big")
@@ -202,7 +213,7 @@ def links(nodes: DataFrame, radius: int = 4) -> DataFrame:
 
 
 def components(edges: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
-    """``(node, root)`` for each node of an undirected edge table; ``root`` is the component's smallest node.
+    """``(node, root)`` for each node of an undirected edge table, as a cut table; ``root`` is the component's smallest node.
 
     Each round points the larger neighbours of a node at its smallest one, then the
     smaller ones too, until nothing moves: a number of rounds about the logarithm
@@ -221,19 +232,32 @@ def components(edges: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
         low = large.groupBy("a").agg(F.min("b").alias("m")).withColumnRenamed("a", "k")
         small = large.join(low, large.a == low.k)
         small = small.select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b")))).alias("e")).select("e.a", "e.b").where("a != b").distinct()
-        edges = cut(small, "links")
+        last, edges = edges, cut(small, "links")
+        drop(last)
         after = mark(edges)
         if after == before:
             break
         before = after
-    return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(edges.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct())
+    named = edges.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(edges.select(F.col("b").alias("node"), F.col("b").alias("root")))
+    roots = cut(named.distinct(), "roots")
+    drop(edges)
+    return roots
 
 
-def near_duplicate_groups(docs: DataFrame, width: int = 4, radius: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(doc_id, fp, component_id)`` for each row of ``docs``."""
+def near_duplicate_groups(docs: DataFrame, width: int = 4, radius: int = 4, id_col: str = "doc_id", text_col: str = "text", threshold: float | None = None) -> DataFrame:
+    """``(doc_id, fp, component_id)`` for each row of ``docs``.
+
+    With a ``threshold``, groups are of texts whose sets of shingles have at least that Jaccard
+    similarity: links of fingerprints are then held against the sets, and
+    :mod:`~patternwalk.llm.near_texts` adds the links that fingerprints miss. Rows without an id take no part in that.
+    """
+    if threshold is not None:
+        from patternwalk.llm.near_texts import near_copy_groups
+
+        return near_copy_groups(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), width, threshold, radius)
     prints = cut(fingerprints(docs, width, id_col, text_col), "prints")
     nodes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "nodes")
-    roots = cut(components(links(nodes, radius)), "roots")
+    roots = components(links(nodes, radius))
     member = nodes.join(roots, nodes.fp == roots.node, "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     group = member.groupBy("root").agg(F.min("first_id").alias("component_id"))
     named = member.join(group, "root").select(F.col("fp").alias("node_fp"), "component_id")

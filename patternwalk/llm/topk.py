@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from patternwalk.plans.scratch import cut
+from patternwalk.plans.scratch import cut, drop
 
 QUERY_BLOCK = 8192
 BLOCK = 4096
@@ -124,7 +124,7 @@ def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, scale: int = 25
     schema = "query_id long, vec_id long, score long"
     if last is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    answers = []
+    answers, order = [], Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     for nth in range(last + 1):
         held = [pair for b in numbered.where(F.col("block") == nth).select("id", "v").toArrow().to_batches() for pair in quantised(b, scale)]  # at most QUERY_BLOCK rows
         shared = spark.sparkContext.broadcast(held)
@@ -157,10 +157,11 @@ def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, scale: int = 25
                 found = (best.scores != _EMPTY).ravel()
                 yield pa.RecordBatch.from_arrays([pa.array(query_ids[found]), pa.array(best.ids.ravel()[found]), pa.array(best.scores.ravel()[found])], schema=out_schema)
 
-        answers.append(pick(candidates).mapInArrow(run, schema))
-    found = reduce(DataFrame.unionByName, answers)
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+        found = pick(candidates).mapInArrow(run, schema)
+        answers.append(cut(found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k), "answers"))
+        shared.destroy()
+    drop(numbered)
+    return reduce(DataFrame.unionByName, answers).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 def query(spark, sf_dir: str) -> DataFrame:
