@@ -5,6 +5,7 @@ from __future__ import annotations
 from functools import reduce
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -85,23 +86,49 @@ def tau_b(x: np.ndarray, y: np.ndarray) -> float:
     return (concordant - discordant) / ((pairs - tx) * (pairs - ty)) ** 0.5
 
 
+def tau_by(pairs: DataFrame, by: list[str], x: str, y: str) -> DataFrame:
+    """``by, tau_b`` of each group; a group is at most the two top lists of one run, so one task holds it."""
+    kinds = {f.name: f.dataType.simpleString() for f in pairs.schema.fields}
+
+    def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+        with np.errstate(invalid="ignore"):
+            return pd.DataFrame([[*key, float(tau_b(frame[x].to_numpy(float), frame[y].to_numpy(float)))]], columns=[*by, "tau_b"])
+
+    return pairs.select(*by, x, y).groupBy(*by).applyInPandas(run, ", ".join(f"{c} {kinds[c]}" for c in by) + ", tau_b double")
+
+
+def quality_by_run(truth: DataFrame, queues: DataFrame, k: int, by: list[str]) -> DataFrame:
+    """``by, precision, tau_b`` of each run's top ``k``; ``queues`` has ``by, rank, code, exp_support``."""
+    top = F.broadcast(true_top(truth, k).select("code", "support"))  # k rows
+    found = queues.where(F.col("rank") <= k).select(*by, "code", "exp_support")
+    hits = found.join(top.select("code"), "code", "left_semi").groupBy(*by).agg(F.count("*").alias("hits"))
+    runs = found.select(*by).distinct()
+    wanted = runs.join(top, F.lit(True)).select(*by, "code").unionByName(found.select(*by, "code")).distinct()
+    both = wanted.join(truth.select("code", "support"), "code", "left").join(found, [*by, "code"], "left").select(*by, F.coalesce("support", F.lit(0)).alias("support"), F.coalesce("exp_support", F.lit(0)).alias("exp_support"))
+    tau = tau_by(both, by, "support", "exp_support")
+    return runs.join(hits, by, "left").join(tau, by, "left").select(*by, (F.coalesce("hits", F.lit(0)) * 100.0 / k).alias("precision"), "tau_b")
+
+
 def score_correlation(patterns: DataFrame) -> DataFrame:
-    """``score, pearson, spearman`` of support with each score."""
+    """``score, pearson, spearman, tau_b`` of support with each score. Ranks are made within a score's own column, one task for each pair: for the patterns of a ground truth."""
     out = []
     for s in ("s1", "s2"):
-        rank = lambda c: F.avg("_r").over(Window.partitionBy(c))
-        placed = patterns.withColumn("_r", F.row_number().over(Window.orderBy("support"))).withColumn("rx", rank("support")).withColumn("_r", F.row_number().over(Window.orderBy(s))).withColumn("ry", rank(s))
-        out.append(placed.agg(F.corr("support", s).alias("pearson"), F.corr("rx", "ry").alias("spearman")).select(F.lit(s).alias("score"), "pearson", "spearman"))
+        def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+            x, y = frame["support"].to_numpy(float), frame["value"].to_numpy(float)
+            mean_rank = lambda v: pd.Series(v).rank().to_numpy()
+            return pd.DataFrame([[key[0], np.corrcoef(x, y)[0, 1], np.corrcoef(mean_rank(x), mean_rank(y))[0, 1], tau_b(x, y)]], columns=["score", "pearson", "spearman", "tau_b"])
+
+        out.append(patterns.select(F.lit(s).alias("score"), F.col("support").cast("double").alias("support"), F.col(s).cast("double").alias("value")).groupBy("score").applyInPandas(run, "score string, pearson double, spearman double, tau_b double"))
     return reduce(DataFrame.unionByName, out)
 
 
-def quality_trace(samples: DataFrame, truth: DataFrame, k: int, checkpoints: list[int]) -> DataFrame:
-    """``iters, hits, precision`` of the lossless queue at each checkpoint; ``samples`` has ``code``."""
-    out = []
+def quality_trace(samples: DataFrame, truth: DataFrame, k: int, checkpoints: list[int], by: tuple[str, ...] = ("chain",)) -> DataFrame:
+    """``by, iters, precision, tau_b`` of the lossless queue at each checkpoint; ``samples`` has ``code``."""
+    queues = []
     for m in checkpoints:
-        q = expected_support(samples.where(F.col("iter") <= m)).orderBy(*queue_order()).limit(k)
-        out.append(precision_at_k(truth, q, k).withColumn("iters", F.lit(m)))
-    return reduce(DataFrame.unionByName, out)
+        q = expected_support(samples.where(F.col("iter") <= m), by)
+        queues.append(q.withColumn("iters", F.lit(m)).withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy(*queue_order()))).where(F.col("rank") <= k))
+    return quality_by_run(truth, reduce(DataFrame.unionByName, queues), k, [*by, "iters"])
 
 
 def repeat(per_run: DataFrame, by: list[str], value: str) -> DataFrame:

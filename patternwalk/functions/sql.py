@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import Column, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
-from pyspark.sql.types import BooleanType, StringType
+from pyspark.sql.types import BooleanType, DoubleType, StringType
 
+from patternwalk.functions.accuracy import tau_b
 from patternwalk.model import GraphDB, pack
 from patternwalk.operators.canon import decode_code, dfs_code, parse_raw, perm_code, same_pattern, to_dot
 from patternwalk.operators.kernel import Graph, bits, connected
@@ -41,6 +43,25 @@ def _connected(raw: pd.Series) -> pd.Series:
     return raw.map(check)
 
 
+@pandas_udf(DoubleType())
+def _density(raw: pd.Series) -> pd.Series:
+    def share(r: str) -> float:
+        labels, edges = parse_raw(r)
+        return 2 * len(edges) / (len(labels) * (len(labels) - 1)) if len(labels) > 1 else 0.0
+
+    return raw.map(share)
+
+
+@pandas_udf(DoubleType())
+def _tau(x: pd.Series, y: pd.Series) -> float:
+    return float(tau_b(x.to_numpy(float), y.to_numpy(float)))
+
+
+def edge_type_key(a: Column, x: Column, b: Column) -> Column:
+    """The name of an edge type, the same from both ends."""
+    return F.concat_ws("|", F.least(a, b), x, F.greatest(a, b))
+
+
 @udtf(returnType="src int, dst int, la string, elabel string, lb string")
 class DecodeCode:
     def eval(self, code: str):
@@ -73,8 +94,9 @@ class ExpandNeighbours:
 
 def register(spark: SparkSession, db: GraphDB | None = None, prefix: str = "gdb") -> None:
     """Register the functions, and the views ``{prefix}_vertices``, ``_edges`` and ``_packed`` of a database."""
-    for name, f in (("dfs_code", _dfs), ("perm_code", _perm), ("code_to_dot", _dot), ("same_pattern", _same), ("is_connected", _connected)):
+    for name, f in (("dfs_code", _dfs), ("perm_code", _perm), ("code_to_dot", _dot), ("same_pattern", _same), ("is_connected", _connected), ("piece_density", _density), ("tau_b", _tau)):
         spark.udf.register(name, f)
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION edge_type_key(a STRING, x STRING, b STRING) RETURNS STRING RETURN concat_ws('|', least(a, b), x, greatest(a, b))")
     spark.udtf.register("decode_code", DecodeCode)
     spark.udtf.register("enumerate_pieces", EnumeratePieces)
     spark.udtf.register("expand_neighbours", ExpandNeighbours)

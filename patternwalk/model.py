@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from patternwalk.plans.scratch import cut
+from patternwalk.plans.scratch import cut, drop
 
 VERTICES = "gid long, vid long, vlabel string"
 EDGES = "gid long, src long, dst long, elabel string"
@@ -82,6 +82,23 @@ def components(db: GraphDB) -> DataFrame:
     return pack(db).select("gid", "vids", "ea", "eb").mapInPandas(run, "gid long, vid long, comp long")
 
 
+def giant_components(db: GraphDB) -> DataFrame:
+    """The same for graphs that no worker holds: each round every vertex takes its neighbours' least name, then its name's name, until nothing moves."""
+    both = cut(db.symmetric().select("gid", "a", "b"), "both")
+    names = cut(db.vertices.select("gid", "vid", F.col("vid").alias("comp")), "names")
+    while True:
+        near = both.join(names.select("gid", F.col("vid").alias("b"), F.col("comp").alias("of_b")), ["gid", "b"]).groupBy("gid", F.col("a").alias("vid")).agg(F.min("of_b").alias("least"))
+        hooked = names.join(near, ["gid", "vid"], "left").select("gid", "vid", "comp", F.least("comp", F.coalesce("least", "comp")).alias("to"))
+        jumped = hooked.join(hooked.select("gid", F.col("vid").alias("to"), F.col("to").alias("next")), ["gid", "to"]).select("gid", "vid", F.least("to", "next").alias("comp"), (F.least("to", "next") != F.col("comp")).alias("moved"))
+        last, after = names, cut(jumped, "names")
+        names = after.select("gid", "vid", "comp")
+        names.cut_path = after.cut_path
+        drop(last)
+        if not after.where("moved").limit(1).count():
+            drop(both)
+            return names
+
+
 def largest_component(db: GraphDB) -> GraphDB:
     """Each graph cut down to its largest component; ties go to the one with the smallest vertex."""
     comp = components(db)
@@ -102,7 +119,7 @@ def pack(db: GraphDB, etypes: DataFrame | None = None) -> DataFrame:
     if etypes is None:
         e = db.edges.select("gid", "src", "dst", "elabel", F.lit(-1).alias("etype"))
     else:
-        e = db.typed_edges().withColumnRenamed("elabel", "el").join(F.broadcast(etypes.select("etype", "la", "el", "lb")), ["la", "el", "lb"]).select("gid", "src", "dst", F.col("el").alias("elabel"), "etype")
+        e = db.typed_edges().withColumnRenamed("elabel", "el").join(etypes.select("etype", "la", "el", "lb"), ["la", "el", "lb"]).select("gid", "src", "dst", F.col("el").alias("elabel"), "etype")
     e = e.groupBy("gid").agg(F.sort_array(F.collect_list(F.struct("src", "dst", "elabel", "etype"))).alias("e"))
     at = lambda c: F.transform("e", lambda x: F.array_position(F.col("v.vid"), x[c]).cast("int") - 1)
     both = v.join(e, "gid", "left").withColumn("e", F.coalesce("e", F.array().cast("array<struct<src:bigint,dst:bigint,elabel:string,etype:int>>")))
@@ -148,9 +165,9 @@ def induced_edges(db: GraphDB, pieces: DataFrame) -> DataFrame:
 
 
 def piece_stats(edges_of: DataFrame) -> DataFrame:
-    """``gid, vs, n_edges, density, max_degree`` from the rows of :func:`induced_edges`."""
+    """``gid, vs, n_edges, density, max_degree, degrees`` from the rows of :func:`induced_edges`; ``degrees`` falls."""
     ends = edges_of.select("gid", "vs", F.explode(F.array("src", "dst")).alias("v")).groupBy("gid", "vs", "v").agg(F.count("*").alias("d"))
-    out = ends.groupBy("gid", "vs").agg((F.sum("d") / 2).cast("long").alias("n_edges"), F.max("d").alias("max_degree"))
+    out = ends.groupBy("gid", "vs").agg((F.sum("d") / 2).cast("long").alias("n_edges"), F.max("d").alias("max_degree"), F.sort_array(F.collect_list("d"), False).alias("degrees"))
     p = F.size("vs")
     return out.withColumn("density", 2 * F.col("n_edges") / (p * (p - 1)))
 

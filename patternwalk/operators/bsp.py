@@ -27,7 +27,7 @@ _LISTS = "array<struct<v:long,n:array<struct<b:long,t:int>>>>"
 
 def adjacency(db: GraphDB, types: DataFrame) -> DataFrame:
     """``gid, v, n``: each vertex with its neighbours and the types of the edges to them, in order."""
-    e = db.typed_edges().withColumnRenamed("elabel", "el").join(F.broadcast(types.select("etype", "la", "el", "lb")), ["la", "el", "lb"])
+    e = db.typed_edges().withColumnRenamed("elabel", "el").join(types.select("etype", "la", "el", "lb"), ["la", "el", "lb"])
     both = e.select("gid", F.col("src").alias("v"), F.col("dst").alias("b"), "etype").unionByName(e.select("gid", F.col("dst").alias("v"), F.col("src").alias("b"), "etype"))
     return both.groupBy("gid", "v").agg(F.sort_array(F.collect_list(F.struct("b", F.col("etype").alias("t")))).alias("n"))
 

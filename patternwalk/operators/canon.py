@@ -98,6 +98,16 @@ def perm_code(labels: list[str], edges: list[Edge]) -> str:
     return min("|".join([*(labels[i] for i in o), *(at.get((o[i], o[j]), "-") for i, j in combinations(range(n), 2))]) for o in permutations(range(n)))
 
 
+@lru_cache(maxsize=1 << 16)
+def perm_name(raw: str) -> str:
+    """The least spelling of a raw code; remembered per worker."""
+    return perm_code(*parse_raw(raw))
+
+
+#: Names of patterns from raw codes. Any canonical string will do; the least spelling is for pieces of a few vertices.
+NAMINGS: dict[str, Callable[[str], str]] = {"dfs": dfs_code, "permutation": perm_name}
+
+
 def perm_code_sql(p: int, label: Callable[[int], str], edge: Callable[[int, int], str]) -> str:
     """The same as a SQL expression: ``label(i)`` and ``edge(i, j)`` give expressions, the latter ``'-'`` where there is none."""
     spellings = []
@@ -152,10 +162,21 @@ def dfs_code_udf(raw: pd.Series) -> pd.Series:
     return raw.map(dfs_code)
 
 
-def with_code(df: DataFrame, raw_col: str = "raw", method: str = "join") -> DataFrame:
-    """Add ``code``. ``join``: code each distinct raw string once and join back; ``inline``: per row with a worker's memory, no shuffle."""
+@F.pandas_udf(StringType())
+def perm_name_udf(raw: pd.Series) -> pd.Series:
+    return raw.map(perm_name)
+
+
+@F.pandas_udf(StringType())
+def respelled(code: pd.Series) -> pd.Series:
+    """The least spelling of a depth-first code."""
+    return code.map(lambda c: perm_code(*decode_code(c)))
+
+
+def with_code(df: DataFrame, raw_col: str = "raw", method: str = "join", naming: str = "dfs") -> DataFrame:
+    """Add ``code``. ``join``: code each distinct raw string once and join back; ``inline``: per row with a worker's memory, no shuffle, so that a common piece's samples need not meet."""
+    name = {"dfs": dfs_code_udf, "permutation": perm_name_udf}[naming]
     if method == "inline":
-        return df.withColumn("code", dfs_code_udf(raw_col))
-    codes = df.select(F.col(raw_col).alias("_raw")).distinct().withColumn("code", dfs_code_udf("_raw"))
+        return df.withColumn("code", name(raw_col))
+    codes = df.select(F.col(raw_col).alias("_raw")).distinct().withColumn("code", name("_raw"))
     return df.join(codes, F.col(raw_col) == F.col("_raw")).drop("_raw")
-

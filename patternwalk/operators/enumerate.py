@@ -51,6 +51,24 @@ def enumerate_induced(db: GraphDB, p: int, engine: str = "sql") -> DataFrame:
     return sets
 
 
+def enumerate_plain(db: GraphDB, p: int) -> DataFrame:
+    """``gid, vs, es, raw``: the connected pieces of ``p`` vertices with any edges that reach all of them; ``es`` are their edges."""
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for row in frame.itertuples():
+                g, out = graph_of(row), []
+                for s in g.enumerate(p):
+                    vs = [g.vids[v] for v in bits(s)]
+                    for pairs in g.spanning_subsets(s):
+                        out.append((row.gid, vs, [{"a": g.vids[a], "b": g.vids[b]} for a, b in pairs], g.raw(s, pairs)))
+                    if len(out) >= 20_000:
+                        yield pd.DataFrame(out, columns=["gid", "vs", "es", "raw"], dtype=object)
+                        out = []
+                yield pd.DataFrame(out, columns=["gid", "vs", "es", "raw"], dtype=object)
+
+    return pack(db).mapInPandas(run, "gid long, vs array<long>, es array<struct<a:long,b:long>>, raw string")
+
+
 def piece_codes(db: GraphDB, pieces: DataFrame, p: int) -> DataFrame:
     """``gid, vs, code`` for small ``p``: the least spelling over vertex orders, all in the JVM."""
     v = db.vertices

@@ -63,18 +63,40 @@ class Graph:
         return out
 
     def boxes(self, state: int) -> list[tuple[int, int]]:
-        """Each vertex of a piece with the mask of its replacements."""
-        out = []
-        for u in bits(state):
+        """Each vertex of a piece with the mask of its replacements.
+
+        What all others touch comes from running unions from both ends. A vertex with one
+        neighbour in the piece never holds it together, so most rests need no search.
+        """
+        adj, vs = self.adj, list(bits(state))
+        after = [0] * (len(vs) + 1)
+        for i in range(len(vs) - 1, -1, -1):
+            after[i] = after[i + 1] | adj[vs[i]]
+        out, before = [], 0
+        for i, u in enumerate(vs):
             rest = state & ~(1 << u)
-            can = ~state & ((1 << len(self.adj)) - 1)
-            for part in self.parts(rest):
-                can &= self.around(part)
-                if not can:
-                    break
+            if (adj[u] & rest).bit_count() <= 1 or self._whole(rest):
+                can = (before | after[i + 1]) & ~state
+            else:
+                can = ~state & ((1 << len(adj)) - 1)
+                for part in self.parts(rest):
+                    can &= self.around(part)
+                    if not can:
+                        break
             out.append((u, can))
+            before |= adj[u]
         return out
 
+    def _whole(self, state: int) -> bool:
+        """Whether a vertex set is connected."""
+        grown = new = state & -state
+        while new:
+            v = new.bit_length() - 1
+            more = self.adj[v] & state & ~grown
+            grown |= more
+            new = (new & ~(1 << v)) | more
+        return grown == state
+
     def update_boxes(self, boxes: list[tuple[int, int]], state: int, u: int, w: int) -> tuple[int, list[tuple[int, int]]]:
         """State and boxes after ``u`` was replaced by ``w``. The box of ``w`` is the old box of ``u`` with ``w`` and ``u`` exchanged; the others are drawn afresh where they must be."""
         after = state & ~(1 << u) | 1 << w
@@ -229,6 +251,25 @@ class Scores:
         return found
 
 
+def thinned(g: Graph, state: int, pairs: frozenset, key: tuple) -> frozenset:
+    """A random connected part of an induced piece's edges that reaches all its vertices: edges in a drawn order, those that join parts kept, each other one by a coin."""
+    order = sorted(pairs, key=lambda e: uniform(*key, g.vids[e[0]], g.vids[e[1]]))
+    root = {v: v for v in bits(state)}
+
+    def top(v: int) -> int:
+        while root[v] != v:
+            root[v] = v = root[root[v]]
+        return v
+
+    kept = set()
+    for a, b in order:
+        x, y = top(a), top(b)
+        if x != y or uniform(*key, g.vids[a], g.vids[b], "coin") < 0.5:
+            root[y] = x
+            kept.add((a, b))
+    return frozenset(kept)
+
+
 def accepts(u: float, dx: int, sx: tuple[int, int], dy: int, sy: tuple[int, int]) -> bool:
     """The Metropolis-Hastings test for uniform proposals over neighbours, without a division."""
     return u * (dy * sx[0] * sy[1]) <= dx * sy[0] * sx[1]

@@ -8,7 +8,6 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from patternwalk.model import GraphDB
-from patternwalk.operators.canon import with_code
 from patternwalk.operators.queue import QueuePolicy, lossless_queue, queue_order, replay_queue, sharded_queue
 from patternwalk.operators.sampler import run_walks
 
@@ -21,19 +20,19 @@ def ranked(queue: DataFrame, k: int, by: tuple[str, ...] = ()) -> DataFrame:
     return queue.withColumn("rank", place).where(F.col("rank") <= k)
 
 
-def mine_top_k(db: GraphDB, p: int, k: int = 500, m: int = 10_000, score: str = "s2", induced: bool = True, queue: QueuePolicy | None = None, emit: str = "accepted", seed: int = 0, chains: int = 1, mode: str = "counter", shards: int = 0, types: DataFrame | None = None) -> DataFrame:
+def mine_top_k(db: GraphDB, p: int, k: int = 500, m: int = 10_000, score: str = "s2", induced: bool = True, queue: QueuePolicy | None = None, emit: str = "accepted", seed: int = 0, chains: int = 1, mode: str = "counter", shards: int = 0, types: DataFrame | None = None, naming: str = "dfs") -> DataFrame:
     """``chain, rank, code, exp_support, score, last_time``: the ``k`` patterns sampled from the most graphs.
 
     ``queue=None`` aggregates without a bound; a policy replays the bounded queue, in
-    ``shards`` parts if given (one chain then).
+    ``shards`` parts if given (one chain then). ``naming``: which canonical string ``code`` is.
     """
     samples = run_walks(db, p, m, score, seed, chains, induced, emit, mode, types=types)
     if queue is None:
-        found = lossless_queue(with_code(samples, method="inline"), by=("chain",))
+        found = lossless_queue(samples, ("chain",), naming=naming)
     elif shards:
-        found = sharded_queue(samples, queue, shards).withColumn("chain", F.lit(0))
+        found = sharded_queue(samples, queue, shards, naming=naming).withColumn("chain", F.lit(0))
     else:
-        found = replay_queue(samples, queue)
+        found = replay_queue(samples, queue, naming=naming)
     return ranked(found, k, ("chain",)).select("chain", "rank", "code", "exp_support", "score", "last_time")
 
 

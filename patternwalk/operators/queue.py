@@ -10,7 +10,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from patternwalk.operators.canon import dfs_code, with_code
+from patternwalk.operators.canon import NAMINGS, with_code
 from patternwalk.plans.scratch import cut
 
 ENTRY = "code string, exp_support int, score double, last_time long, idset array<long>"
@@ -155,17 +155,17 @@ def top_k(queue: DataFrame, k: int) -> DataFrame:
     return queue.orderBy(*queue_order()).limit(k)
 
 
-def replay_queue(samples: DataFrame, policy: QueuePolicy, by: tuple[str, ...] = ("chain",), codes: str = "lazy") -> DataFrame:
+def replay_queue(samples: DataFrame, policy: QueuePolicy, by: tuple[str, ...] = ("chain",), codes: str = "lazy", naming: str = "dfs") -> DataFrame:
     """The reference semantics: each chain's samples offered in order of iteration; chains run side by side.
 
     A chain is one task: this is the sequential form, for samples that one worker can read
     through. ``codes='lazy'`` names only what the gate lets through; ``'eager'`` expects a ``code`` column.
     """
-    def run(key, frame: pd.DataFrame) -> pd.DataFrame:
-        queue = PatternQueue(policy)
+    def run(key: tuple, frame: pd.DataFrame) -> pd.DataFrame:
+        queue, name = PatternQueue(policy), NAMINGS[naming]
         frame = frame.sort_values("iter", kind="stable")
         for raw, gid, score, i in zip(frame["name"], frame["gid"], frame["score"], frame["iter"]):
-            queue.offer((lambda raw=raw: dfs_code(raw)) if codes == "lazy" else (lambda raw=raw: raw), int(gid), float(score), int(i))
+            queue.offer((lambda raw=raw: name(raw)) if codes == "lazy" else (lambda raw=raw: raw), int(gid), float(score), int(i))
         rows = pd.DataFrame(queue.rows(), columns=["code", "exp_support", "score", "last_time", "idset"], dtype=object)
         for c, v in zip(by, key):
             rows.insert(0, c, v)
@@ -186,19 +186,19 @@ def expected_support(samples: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     return first.groupBy(*by, "code").agg(F.count("*").cast("int").alias("exp_support"), F.min("score").alias("score"), F.max("t0").alias("last_time"))
 
 
-def lossless_queue(samples: DataFrame, by: tuple[str, ...] = (), method: str = "join") -> DataFrame:
+def lossless_queue(samples: DataFrame, by: tuple[str, ...] = (), method: str = "inline", naming: str = "dfs") -> DataFrame:
     """The queue without a bound: an aggregation that spills instead of forgetting."""
-    coded = samples if "code" in samples.columns else with_code(samples, method=method)
+    coded = samples if "code" in samples.columns else with_code(samples, method=method, naming=naming)
     return expected_support(coded, by)
 
 
-def sketch_queue(samples: DataFrame, precision: int = 12) -> DataFrame:
+def sketch_queue(samples: DataFrame, precision: int = 12, naming: str = "dfs") -> DataFrame:
     """Supports by a fixed-size sketch per pattern, for streams that cannot keep id sets."""
-    coded = samples if "code" in samples.columns else with_code(samples)
+    coded = samples if "code" in samples.columns else with_code(samples, method="inline", naming=naming)
     return coded.groupBy("code").agg(F.hll_sketch_estimate(F.hll_sketch_agg("gid", F.lit(precision))).alias("exp_support"), F.max("score").alias("score"))
 
 
-def sharded_queue(samples: DataFrame, policy: QueuePolicy, shards: int = 8, epochs: int = 4) -> DataFrame:
+def sharded_queue(samples: DataFrame, policy: QueuePolicy, shards: int = 8, epochs: int = 4, naming: str = "dfs") -> DataFrame:
     """A bounded queue in ``shards`` parts by code, ``capacity / shards`` entries each.
 
     Within an epoch all shards work at once. The gate before coding needs a global tail
@@ -214,7 +214,7 @@ def sharded_queue(samples: DataFrame, policy: QueuePolicy, shards: int = 8, epoc
     gate = None
     schema = f"shard int, {ENTRY}, tail double, n long"
 
-    def run(key, new: pd.DataFrame, old: pd.DataFrame) -> pd.DataFrame:
+    def run(key: tuple, new: pd.DataFrame, old: pd.DataFrame) -> pd.DataFrame:
         queue = PatternQueue(part)
         for r in old.itertuples():
             queue.restore(r.code, r.idset, r.score, r.last_time)
@@ -231,7 +231,7 @@ def sharded_queue(samples: DataFrame, policy: QueuePolicy, shards: int = 8, epoc
         own = samples.where((F.col("iter") >= a) & (F.col("iter") < a + step))
         if gate is not None and policy.gate == "before_lookup":
             own = own.where(F.col("score") >= gate if policy.ties == "admit" else F.col("score") > gate)
-        coded = with_code(own).select(F.pmod(F.xxhash64("code"), F.lit(shards)).cast("int").alias("shard"), "code", "gid", "score", "iter")
+        coded = with_code(own, method="inline", naming=naming).select(F.pmod(F.xxhash64("code"), F.lit(shards)).cast("int").alias("shard"), "code", "gid", "score", "iter")
         state = cut(coded.groupBy("shard").cogroup(state.groupBy("shard")).applyInPandas(run, schema), "queue")
         gate = state.select("shard", "tail").distinct().agg(F.avg("tail")).first()[0]
     return state.select("code", "exp_support", "score", "last_time", "idset")

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from patternwalk.functions.rng import uniform_column
 from patternwalk.model import GraphDB, pack
 from patternwalk.operators.enumerate import graph_of
-from patternwalk.operators.kernel import Scores, Walk, bits
+from patternwalk.operators.kernel import Scores, Walk, bits, thinned
 from patternwalk.operators.support import edge_support, score_table
 from patternwalk.plans.scratch import cut
 
@@ -23,10 +23,20 @@ SAMPLES = "chain int, iter long, gid long, vs array<long>, n_edges int, raw stri
 STATE = "chain int, gid long, vs array<long>, es array<struct<a:long,b:long>>, attempts long"
 
 
+#: Graphs are numbered by so many ranges of ids, each of which is one task's.
+RANGES = 1024
+
+
 def eligible(db: GraphDB, p: int) -> DataFrame:
-    """Graphs with at least ``p`` vertices, numbered in order of id."""
+    """Graphs with at least ``p`` vertices, numbered in order of id: places within a range of ids, and the ranges' counts before it."""
     big = db.graphs().where((F.col("n_vertices") >= p) & (F.col("n_edges") > 0)).select("gid")
-    return big.withColumn("place", (F.row_number().over(Window.orderBy("gid")) - 1).cast("long"))
+    low, high = big.agg(F.min("gid"), F.max("gid")).first()
+    width = 1 if low is None else (high - low) // RANGES + 1
+    ranged = big.withColumn("range", F.floor((F.col("gid") - F.lit(low or 0)) / F.lit(width)))
+    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)  # over RANGES rows at most
+    base = ranged.groupBy("range").count().select("range", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("base"))
+    place = F.row_number().over(Window.partitionBy("range").orderBy("gid")) - 1
+    return ranged.withColumn("nth", place).join(F.broadcast(base), "range").select("gid", (F.col("base") + F.col("nth")).cast("long").alias("place"))
 
 
 def schedule(graphs: DataFrame, m: int, seed: int = 0, mode: str = "counter", chains: int = 1, first: int = 1) -> DataFrame:
@@ -66,7 +76,7 @@ def schedule(graphs: DataFrame, m: int, seed: int = 0, mode: str = "counter", ch
     return drawn.join(graphs, "place").select("chain", "gid", "iters")
 
 
-def _walk(packed_visits: DataFrame, p: int, scores: Scores, seed: int, induced: bool, emit: str, burn_in: int, thin: int, what: str) -> DataFrame:
+def _walk(packed_visits: DataFrame, p: int, scores: Scores, seed: int, induced: bool, emit: str, burn_in: int, thin: int, what: str, plain_mode: str = "walk") -> DataFrame:
     shared = packed_visits.sparkSession.sparkContext.broadcast(scores)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -76,7 +86,7 @@ def _walk(packed_visits: DataFrame, p: int, scores: Scores, seed: int, induced:
             for row in frame.itertuples():
                 g = graph_of(row)
                 place = {v: i for i, v in enumerate(g.vids)}
-                walk = Walk(g, p, target, (seed, row.chain, row.gid), induced, emit)
+                walk = Walk(g, p, target, (seed, row.chain, row.gid), induced or plain_mode == "thin", emit)
                 fresh = row.old_vs is None
                 if fresh:
                     if not walk.start():
@@ -88,8 +98,9 @@ def _walk(packed_visits: DataFrame, p: int, scores: Scores, seed: int, induced:
                 for k, i in enumerate(row.iters):
                     tried = 0 if fresh and k == 0 else walk.sample()
                     if what == "samples" and k >= burn_in and (k - burn_in) % thin == 0:
-                        num, den = walk.score
-                        out.append((row.chain, int(i), row.gid, [g.vids[v] for v in bits(walk.state)], len(walk.pairs), g.raw(walk.state, walk.pairs), num, den, num / den, walk.degree, tried))
+                        pairs = walk.pairs if induced or plain_mode != "thin" else thinned(g, walk.state, walk.pairs, (seed, row.chain, row.gid, walk.attempts, "thin"))
+                        num, den = walk.score if pairs is walk.pairs else target.of(g.types(pairs))
+                        out.append((row.chain, int(i), row.gid, [g.vids[v] for v in bits(walk.state)], len(pairs), g.raw(walk.state, pairs), num, den, num / den, walk.degree, tried))
                 ends.append((row.chain, row.gid, [g.vids[v] for v in bits(walk.state)], [{"a": g.vids[a], "b": g.vids[b]} for a, b in sorted(walk.pairs)], walk.attempts))
             if what == "samples":
                 yield pd.DataFrame(out, columns=[c.split()[0] for c in SAMPLES.split(", ")], dtype=object)
@@ -115,9 +126,13 @@ def run_walks(
     thin: int = 1,
     types: DataFrame | None = None,
     want_state: bool = False,
+    plain_mode: str = "walk",
 ):
     """The sample of each iteration (and, with ``want_state``, the states to go on from).
 
+    ``plain_mode='thin'``, for pieces that need not be induced: the cheap way, which walks over
+    induced pieces and emits a random connected part of each one's edges.
+
     Draws depend on ``(seed, chain, graph, attempt)`` only: reruns, lost tasks and other
     partitionings give the same samples, and two runs of ``m / 2`` joined by their state equal one of ``m``.
     """
@@ -130,10 +145,10 @@ def run_walks(
         held = state.select("chain", "gid", F.col("vs").alias("old_vs"), F.col("es").alias("old_es"), "attempts")
         joined = visits.join(packed, "gid").join(held, ["chain", "gid"], "left").select("chain", "iters", *packed.columns, "old_vs", "old_es", F.coalesce("attempts", F.lit(0)).alias("attempts"))
     scores = score_table(db, types, score)
-    samples = _walk(joined, p, scores, seed, induced, emit, burn_in, thin, "samples")
+    samples = _walk(joined, p, scores, seed, induced, emit, burn_in, thin, "samples", plain_mode)
     if not want_state:
         return samples
-    moved = _walk(joined, p, scores, seed, induced, emit, burn_in, thin, "state")
+    moved = _walk(joined, p, scores, seed, induced, emit, burn_in, thin, "state", plain_mode)
     if state is not None:
         moved = moved.unionByName(state.join(moved.select("chain", "gid"), ["chain", "gid"], "left_anti"))
     return samples, moved

@@ -136,3 +136,74 @@ def schedule(m: int, seed: int, chains: int, graphs: str = "el") -> str:
     return f"""
 dr AS (SELECT c.chain, i.iter, floor({uniform(f"'{seed}'", "c.chain::VARCHAR", "i.iter::VARCHAR")} * (SELECT count(*) FROM {graphs}))::BIGINT AS place FROM (SELECT unnest(range(1, {m + 1})) AS iter) i, (SELECT unnest(range(0, {chains})) AS chain) c),
 sd AS (SELECT chain::INT AS chain, iter, gid FROM dr JOIN {graphs} USING (place))"""
+
+
+def _draw(step: str, which: int, seed: int = 0) -> str:
+    return uniform(f"'{seed}'", "w.chain::VARCHAR", "w.gid::VARCHAR", step, f"'{which}'")
+
+
+def walk(m: int, chains: int = 1, emit: str = "accepted", graphs: str = "el") -> str:
+    """The walk itself over the transition table ``tr``: first states and moves by the same counters. Gives ``smp(chain, iter, gid, vs)``."""
+    moves = f"CASE WHEN {_draw('(w.attempt + 1)::VARCHAR', 1)} <= m.alpha THEN 1 ELSE 0 END"
+    return f"""
+{schedule(m, 0, chains, graphs)},
+visits AS (SELECT chain, gid, iter, row_number() OVER (PARTITION BY chain, gid ORDER BY iter) - 1 AS k FROM sd),
+le AS (SELECT gid, src, dst, row_number() OVER (PARTITION BY gid ORDER BY src, dst) - 1 AS i, count(*) OVER (PARTITION BY gid) AS m FROM e),
+ch AS (SELECT DISTINCT chain, gid FROM visits),
+s0 AS (SELECT w.chain, le.gid, src, dst FROM ch w JOIN le ON le.gid = w.gid WHERE i = floor({_draw("'0'", 0)} * m)),
+fz AS (SELECT DISTINCT s0.chain, s0.gid, src, dst, b FROM s0 JOIN sym ON sym.gid = s0.gid AND sym.a IN (src, dst) WHERE b NOT IN (src, dst)),
+fr AS (SELECT *, row_number() OVER (PARTITION BY chain, gid ORDER BY b) - 1 AS i, count(*) OVER (PARTITION BY chain, gid) AS m FROM fz),
+st AS (SELECT w.chain, w.gid, list_sort([src, dst, b]) AS vs FROM fr w WHERE i = floor({_draw("'0'", 1)} * m)),
+id AS (SELECT gid, vs, row_number() OVER (ORDER BY gid, vs) AS sid, d FROM dg),
+mo AS (SELECT x.sid, x.d, y.sid AS tid, y.d AS td, alpha, row_number() OVER (PARTITION BY x.sid ORDER BY list_filter(tr.vs, lambda z: NOT list_contains(tr.ws, z))[1], list_filter(tr.ws, lambda z: NOT list_contains(tr.vs, z))[1]) - 1 AS i
+  FROM tr JOIN id x ON x.gid = tr.gid AND x.vs = tr.vs JOIN id y ON y.gid = tr.gid AND y.vs = tr.ws),
+mv AS MATERIALIZED (SELECT sid * 65536 + i AS move, tid, td, alpha FROM mo),
+ls AS (SELECT chain, gid, max(k) AS last FROM visits GROUP BY chain, gid),
+walk AS (SELECT st.chain, st.gid, id.sid, id.d, 0 AS attempt, 0 AS k, last FROM st JOIN id ON id.gid = st.gid AND id.vs = st.vs JOIN ls ON ls.chain = st.chain AND ls.gid = st.gid
+  UNION ALL
+  SELECT chain, gid, CASE WHEN moves = 1 THEN tid ELSE sid END, CASE WHEN moves = 1 THEN td ELSE d END, attempt + 1, k + {"1" if emit == "lazy" else "moves"}, last
+  FROM (SELECT w.*, m.tid, m.td, {moves} AS moves FROM mv m JOIN (SELECT *, (w.sid * 65536 + floor({_draw('(w.attempt + 1)::VARCHAR', 0)} * w.d))::BIGINT AS move FROM walk w WHERE w.k < w.last) w ON m.move = w.move)),
+seen AS (SELECT w.chain, w.gid, w.k, id.vs FROM (SELECT chain, gid, k, arg_min(sid, attempt) AS sid FROM walk GROUP BY chain, gid, k) w JOIN id USING (sid)),
+smp AS (SELECT chain, iter, visits.gid, seen.vs FROM visits JOIN seen USING (chain, gid, k))"""
+
+
+#: After :func:`walk` and :func:`codes`: each sample's pattern and score, and the patterns of each chain, ranked as a queue without a bound ranks them.
+MINED = """
+nm AS MATERIALIZED (SELECT smp.chain, smp.iter, smp.gid, code, num / den AS score FROM smp JOIN cd ON cd.gid = smp.gid AND cd.vs = smp.vs JOIN sc ON sc.gid = smp.gid AND sc.vs = smp.vs),
+fs AS (SELECT chain, code, gid, min(iter) AS t, min(score) AS score FROM nm GROUP BY chain, code, gid),
+mq AS (SELECT chain, code, count(*)::INT AS exp_support, min(score) AS score, max(t) AS last_time FROM fs GROUP BY chain, code),
+mined AS (SELECT chain, row_number() OVER (PARTITION BY chain ORDER BY exp_support DESC, score DESC, last_time DESC, code)::INT AS rank, code, exp_support, score, last_time FROM mq)"""
+
+
+def replay(capacity: int) -> str:
+    """After :data:`MINED`: the bounded queue, one sample a step, as a list sorted by support, score, time and code. Gives ``kept(x)`` of the last state."""
+    entry = "STRUCT(a BIGINT, b DOUBLE, c BIGINT, code VARCHAR, ids BIGINT[])"
+    new = f"{{'a': -1::BIGINT, 'b': -score, 'c': -iter, 'code': code, 'ids': [gid]}}::{entry}"
+    grown = f"{{'a': hit[1].a - 1, 'b': hit[1].b, 'c': -iter, 'code': code, 'ids': list_append(hit[1].ids, gid)}}::{entry}"
+    return f"""
+qq AS (SELECT 0::BIGINT AS iter, []::{entry}[] AS q
+  UNION ALL
+  SELECT iter, CASE WHEN shut THEN q
+      WHEN len(hit) > 0 THEN (CASE WHEN list_contains(hit[1].ids, gid) THEN q ELSE list_sort(list_append(list_filter(q, lambda x: x.code <> code), {grown})) END)
+      ELSE list_sort(list_append(q[1:{capacity - 1}], {new})) END
+  FROM (SELECT s.iter, s.gid, s.code, s.score, w.q, len(w.q) >= {capacity} AND s.score < list_avg(list_transform(w.q[len(w.q) - greatest(1, len(w.q) // 2) + 1:], lambda x: -x.b)) AS shut,
+          list_filter(w.q, lambda x: x.code = s.code) AS hit FROM qq w JOIN (SELECT * FROM nm WHERE chain = 0) s ON s.iter = w.iter + 1)),
+kept AS (SELECT unnest(q) AS x, unnest(range(1, len(q) + 1)) AS place, len(q) AS n FROM qq WHERE iter = (SELECT max(iter) FROM qq))"""
+
+
+def plain_codes() -> str:
+    """Non-induced pieces of two and three vertices: ``o1``, ``o2``, ``o3(gid, code, ...)`` of one to three edges with their parts' codes, and ``ps(code, n_vertices, n_edges, support)``."""
+    one = perm_code_sql(2, lambda i: f"v{i}", lambda i, j: "x01")
+    path = lambda a, b, c, x, y: perm_code_sql(3, lambda i: (a, b, c)[i], lambda i, j: {(0, 1): x, (1, 2): y, (0, 2): "'-'"}[i, j])
+    ring = perm_code_sql(3, lambda i: f"v{i}", lambda i, j: f"x{i}{j}")
+    part = lambda a, b, x: one.replace("v0", a).replace("v1", b).replace("x01", x)
+    return f"""
+le AS (SELECT e.gid, src, dst, a.vlabel AS la, b.vlabel AS lb, elabel AS el FROM e JOIN v a ON a.gid = e.gid AND a.vid = src JOIN v b ON b.gid = e.gid AND b.vid = dst),
+se AS (SELECT gid, src AS a, dst AS b, la, lb, el FROM le UNION ALL SELECT gid, dst, src, lb, la, el FROM le),
+o1 AS (SELECT gid, {part('la', 'lb', 'el')} AS code FROM le),
+o2 AS (SELECT gid, {path('v0', 'v1', 'v2', 'x01', 'x12')} AS code, {part('v0', 'v1', 'x01')} AS p1, {part('v1', 'v2', 'x12')} AS p2 FROM (
+   SELECT x.gid, x.lb AS v0, x.la AS v1, y.lb AS v2, x.el AS x01, y.el AS x12 FROM se x JOIN se y ON x.gid = y.gid AND x.a = y.a AND x.b < y.b)),
+o3 AS (SELECT gid, {ring} AS code, {path('v0', 'v1', 'v2', 'x01', 'x12')} AS p1, {path('v1', 'v2', 'v0', 'x12', 'x02')} AS p2, {path('v2', 'v0', 'v1', 'x02', 'x01')} AS p3 FROM (
+   SELECT x.gid, x.la AS v0, x.lb AS v1, y.lb AS v2, x.el AS x01, y.el AS x12, z.el AS x02 FROM le x JOIN le y ON x.gid = y.gid AND y.src = x.dst JOIN le z ON z.gid = x.gid AND z.src = x.src AND z.dst = y.dst)),
+ps AS (SELECT code, 2 AS n_vertices, 1 AS n_edges, count(DISTINCT gid) AS support FROM o1 GROUP BY code UNION ALL SELECT code, 3, 2, count(DISTINCT gid) FROM o2 GROUP BY code UNION ALL SELECT code, 3, 3, count(DISTINCT gid) FROM o3 GROUP BY code),
+parts AS (SELECT DISTINCT code, p1 AS part FROM o2 UNION SELECT DISTINCT code, p2 FROM o2 UNION SELECT DISTINCT code, unnest([p1, p2, p3]) FROM o3)"""

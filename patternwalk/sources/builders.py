@@ -95,8 +95,8 @@ def order_star(spark: SparkSession, sf_dir: str, every: int = 1) -> GraphDB:
     return GraphDB(vertices, edges)
 
 
-def vector_radius(spark: SparkSession, sf_dir: str, size: int = 50, least: float = 0.15, near: float = 0.25) -> GraphDB:
-    """Vectors of one group joined when their cosine is at least ``least``; groups hold about ``size`` vectors."""
+def vector_radius(spark: SparkSession, sf_dir: str, size: int = 50, least: float = 0.15, near: float = 0.25, whole: bool = False) -> GraphDB:
+    """Vectors of one group joined when their cosine is at least ``least``; groups hold about ``size`` vectors. ``whole``: with all components, not only the largest."""
     v = table(spark, sf_dir, "embeddings").where("embedding IS NOT NULL")
     groups = max(1, v.count() // size)
     v = v.select((F.col("vec_id") % groups).alias("gid"), F.col("vec_id").alias("vid"), F.col("label").cast("string").alias("vlabel"), F.transform("embedding", lambda x: x.cast("double")).alias("x"))
@@ -105,7 +105,8 @@ def vector_radius(spark: SparkSession, sf_dir: str, size: int = 50, least: float
     pairs = v.alias("a").join(v.alias("b"), (F.col("a.gid") == F.col("b.gid")) & (F.col("a.vid") < F.col("b.vid")))
     cosine = F.round(dot("a.x", "b.x") / (F.col("a.norm") * F.col("b.norm")), 6)
     edges = pairs.select(F.col("a.gid").alias("gid"), F.col("a.vid").alias("src"), F.col("b.vid").alias("dst"), cosine.alias("c")).where(F.col("c") >= least)
-    return largest_component(GraphDB(v.select("gid", "vid", "vlabel"), edges.select("gid", "src", "dst", F.when(F.col("c") >= near, "1").otherwise("2").alias("elabel"))))
+    db = GraphDB(v.select("gid", "vid", "vlabel"), edges.select("gid", "src", "dst", F.when(F.col("c") >= near, "1").otherwise("2").alias("elabel")))
+    return db if whole else largest_component(db)
 
 
 def _token_graphs(texts: DataFrame) -> GraphDB:

@@ -144,3 +144,8 @@ def write_dot(queue: DataFrame, path: str) -> None:
     from patternwalk.functions.sql import _dot
 
     queue.select(_dot("code").alias("value")).write.mode("overwrite").text(path)
+
+
+def write_by_size(patterns: DataFrame, path: str) -> None:
+    """Patterns or samples as Parquet, a folder for each size ``p``."""
+    patterns.write.partitionBy("p").mode("overwrite").parquet(path)
