@@ -38,25 +38,30 @@ HEADING = frozenset("h1 h2 h3 h4 h5 h6".split())
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr"}, "td": {"td", "th", "tr"}, "th": {"td", "th", "tr"}, "option": {"option"}}
 SCOPE = frozenset("ul ol dl table article section div body html main nav aside footer header form td th blockquote".split())
 #: Names in class, id or role of what isn't the article.
-UNLIKELY = re.compile(r"(?:^|[\s_-])(?:ads?|adverts?|advert\w*|sponsor\w*|promo\w*|banner|breadcrumbs?|comments?|commentlist|disqus|replies|respond|cookies?|consent|gdpr|notices?|alert|popup|modal|overlay|subscribe|newsletter|signup|login|footer|header|masthead|nav\w*|menu\w*|sidebar|side|widget\w*|related|recommend\w*|share\w*|sharing|social|tags?|toolbar|pagination|pager|search|skip|hidden|legal|copyright)(?:$|[\s_-])", re.I)
+UNLIKELY = re.compile(r"(?:^|[\s_-])(?:ads?|adverts?|advert\w*|sponsor\w*|promo\w*|banner|breadcrumbs?|comments?|commentlist|disqus|replies|respond|cookies?|consent|gdpr|notices?|alert|popup|modal|overlay|subscribe|newsletter|signup|login|footer|nav\w*|menu\w*|sidebar|widget\w*|related|recommend\w*|share\w*|sharing|social|tags?|toolbar|pagination|pager|skip-link|skiplink|hidden|copyright)(?:$|[\s_-])", re.I)
+#: Names of what is a header: of the site, or of the article if inside it.
+HEADER = re.compile(r"(?:^|[\s_-])(?:header|masthead)(?:$|[\s_-])", re.I)
+#: Elements that hold the article, headers included.
+HOLDERS = frozenset("article main".split())
 LIKELY = re.compile(r"article|body|content|entry|main|post|story|text", re.I)
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)", re.S)
+_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)|<(/?)([a-zA-Z][^\s/>]*)([^>]*)(?:>|$)", re.S)
 _NAMES = re.compile(r"\b(class|id|role|hidden|style|aria-hidden)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 _SPACE = re.compile(r"\s+")
 
 
 class Node:
-    __slots__ = ("children", "name", "parent", "points", "unlikely", "weight")
+    __slots__ = ("children", "header", "name", "parent", "points", "unlikely", "weight")
 
     def __init__(self, name: str, parent: Node | None, attributes: str = "") -> None:
         self.name, self.parent, self.children = name, parent, []
-        self.points, self.unlikely, self.weight = 0.0, name in BOILER, 0.0
+        self.points, self.unlikely, self.weight, self.header = 0.0, name in BOILER, 0.0, name == "header"
         if attributes:
             for m in _NAMES.finditer(attributes):
                 key, value = m[1].lower(), m[2] or m[3] or m[4] or ""
                 if key in ("class", "id", "role"):
                     self.unlikely |= name not in ("body", "main", "article") and any(UNLIKELY.search(x) and not x.startswith(("has-", "with-", "no-", "has_", "with_", "no_")) for x in value.split()) or value.lower() in ("navigation", "banner", "contentinfo", "complementary", "search", "form", "alert", "dialog")
+                    self.header |= name not in ("body", "main", "article") and any(HEADER.search(x) and not x.startswith(("has-", "with-", "no-", "has_", "with_", "no_")) for x in value.split())
                     self.weight += 25.0 * bool(LIKELY.search(value))
                 elif key == "hidden" or (key == "aria-hidden" and value.lower() == "true") or (key == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I)):
                     self.unlikely = True
@@ -87,13 +92,13 @@ def parse(page: str) -> Node:
             break
         text(pos, m.start())
         pos = m.end()
-        name = m[2]
+        close, name, attributes = (m[1], m[2], m[3]) if m[5] is None else (m[4], m[5], m[6])  # the latter with an unmatched quote: the tag ends at the next ">"
         if name is None:
             if m[0].startswith("<![CDATA["):
                 at.children.append(m[0][9:].removesuffix("]]>"))
             continue
         name = name.lower()
-        if m[1]:
+        if close:
             if name == "head":  # ends whatever is open in it
                 up = head(at) if opened else None
                 at, opened = (up.parent, False) if up is not None else (at, opened)
@@ -127,12 +132,12 @@ def parse(page: str) -> Node:
                 if name == "tr" and at.name == "tr":
                     at = at.parent
         opened |= name == "head"
-        node = Node(name, at, m[3])
+        node = Node(name, at, attributes)
         at.children.append(node)
         if name in RAW:
             end = re.compile(rf"</{name}\s*>?", re.I).search(page, pos)
             pos = end.end() if end else n
-        elif name not in VOID and not m[3].endswith("/"):
+        elif name not in VOID and not attributes.endswith("/"):
             at = node
     return root
 
@@ -140,7 +145,7 @@ def parse(page: str) -> Node:
 def _kept(node: Node, inside: bool) -> bool:
     if node.name in SKIPPED or node.unlikely:
         return False
-    return node.name != "header" or inside  # an article's own header holds its headline
+    return inside or not node.header  # an article's own header holds its headline
 
 
 def blocks(node: Node, inside: bool = False) -> list[str]:
@@ -169,7 +174,7 @@ def blocks(node: Node, inside: bool = False) -> list[str]:
             if block:
                 end()
                 todo.append((None, False))
-            todo += [(c, within or x.name == "article") for c in reversed(x.children)]
+            todo += [(c, within or x.name in HOLDERS) for c in reversed(x.children)]
     end()
     return out
 
@@ -183,7 +188,7 @@ def _measure(root: Node) -> tuple[dict[int, tuple[int, int, int]], list[Node]]:
         if x is not root and not _kept(x, within):
             continue
         order.append((x, linked, within))
-        todo += [(c, linked or x.name == "a", within or x.name == "article") for c in reversed(x.children) if isinstance(c, Node)]
+        todo += [(c, linked or x.name == "a", within or x.name in HOLDERS) for c in reversed(x.children) if isinstance(c, Node)]
     size: dict[int, tuple[int, int, int]] = {}
     for x, linked, _ in reversed(order):
         n = a = k = 0
@@ -229,7 +234,7 @@ def main_text(page: str | None) -> str:
         return "\n\n".join(blocks(root))
     best = scored[max(value, key=value.__getitem__)]
     inside = best
-    while inside is not None and inside.name != "article":
+    while inside is not None and inside.name not in HOLDERS:
         inside = inside.parent
     if best.parent is None:
         return "\n\n".join(blocks(best, inside is not None))

@@ -151,9 +151,9 @@ class Picture:
             plane = cells.transpose(0, 2, 1, 3).reshape(8 * rows, 8 * columns) + np.float32(128)
             np.clip(plane, 0, 255, out=plane)
             if most_v > c.v:
-                plane = plane.repeat(most_v // c.v, axis=0)
+                plane = plane[np.arange(self.height) * c.v // most_v]
             if most_h > c.h:
-                plane = plane.repeat(most_h // c.h, axis=1)
+                plane = plane[:, np.arange(self.width) * c.h // most_h]
             planes.append(plane[: self.height, : self.width])
         out = np.empty((self.height, self.width, 3), np.uint8)
         if len(planes) == 1:
@@ -319,7 +319,9 @@ def decode(data: bytes) -> Picture:
         size = struct.unpack_from(">H", data, at + 2)[0]
         body, at = data[at + 4 : at + 2 + size], at + 2 + size
         if marker == 0xC2:
-            _, picture.height, picture.width, n = struct.unpack_from(">BHHB", body)
+            depth, picture.height, picture.width, n = struct.unpack_from(">BHHB", body)
+            if depth != 8:
+                raise ValueError("samples of 8 bits are needed")
             if n not in (1, 3) or not picture.height or not picture.width:
                 raise ValueError("one or three components and a size are needed")
             picture.components = [Component(body[6 + 3 * i], body[7 + 3 * i] >> 4, body[7 + 3 * i] & 15, body[8 + 3 * i]) for i in range(n)]

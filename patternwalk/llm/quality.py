@@ -5,7 +5,7 @@ shares, ratios of distinct words). The classes' counts, sums and sums of product
 are gathered over every labelled row that may be learned from: sums per partition,
 then one aggregate, so the driver sees a few hundred numbers whatever the corpus.
 Each class covariance is shrunk towards a multiple of the identity; its Cholesky
-factor is kept, and a row's log-density is a triangular solve away. The score is
+factor's inverse is worked out once, so a row's log-density is one product. The score is
 the posterior probability of label 1.
 
 Defined results: null text counts as empty; an empty text has statistics like any

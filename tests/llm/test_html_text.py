@@ -1,5 +1,7 @@
 import html as h
+import random
 import re
+from html.parser import HTMLParser
 
 from pyspark.sql import types as T
 
@@ -64,3 +66,65 @@ def test_a_head_left_open(spark):
     ):
         assert H.main_text(page) == f"{LONG}\n\n{LONG}", page
     assert H.main_text(f"<head><title>No</title>{LONG}") == LONG
+
+
+def test_tags_with_an_unmatched_quote():
+    assert H.main_text(f'<article><p class="x>{LONG}</p><p>{LONG}</p></article>') == f"{LONG}\n\n{LONG}"
+    assert H.main_text(f"<article><p>{LONG}</p><p id='a>{LONG}</p></article>") == f"{LONG}\n\n{LONG}"
+
+
+def test_headers_of_the_article_by_name():
+    assert H.main_text(f'<div class="site-header">Shop</div><article><div class="entry-header"><h1>Own</h1></div><p>{LONG}</p></article>') == f"Own\n\n{LONG}"
+    assert H.main_text(f'<header>Shop</header><main><header><h1>Own</h1></header><p class="legal">{LONG}</p><p class="side">{LONG}</p></main>') == f"Own\n\n{LONG}\n\n{LONG}"
+
+
+class Plain(HTMLParser):
+    """A second implementation for pages whose article is an element: its blocks, without what never belongs to it."""
+
+    OUT = {"nav", "footer", "aside", "form", "script", "style", "menu"}
+    BREAKS = {"p", "h1", "h2", "ul", "li", "blockquote", "div", "article", "header", "pre"}
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.stack, self.blocks, self.run = [], [], []
+
+    def end(self):
+        text = " ".join("".join(self.run).split())
+        self.run = []
+        if text:
+            self.blocks.append(text)
+
+    def handle_starttag(self, tag, attrs):
+        if tag in self.BREAKS:
+            self.end()
+        if tag == "br":
+            self.run.append(" ")
+        else:
+            names = dict(attrs).get("class") or ""
+            self.stack.append((tag, tag in self.OUT or names in ("comments", "advert", "share")))
+
+    def handle_endtag(self, tag):
+        if tag in self.BREAKS:
+            self.end()
+        while self.stack and self.stack.pop()[0] != tag:
+            pass
+
+    def handle_data(self, data):
+        if any(t == "article" for t, _ in self.stack) and not any(out for _, out in self.stack):
+            self.run.append(data)
+
+
+def test_made_pages_against_a_second_implementation():
+    rng = random.Random(11)
+    word = lambda: rng.choice(["alpha", "b&amp;b", "caf\u00e9", "d&#233;j&agrave;", "x &lt; y", "five,", "six", "seven."])
+    say = lambda n: " ".join(word() for _ in range(n))
+    inline = lambda: rng.choice([say(9), f"<b>{say(3)}</b> {say(9)}", f"{say(5)} <a href='x'>{say(2)}</a> {say(6)}", f"{say(4)}<br>{say(8)}", f"{say(6)} <!-- {say(3)} --> {say(4)}"])
+    junk = lambda: rng.choice([f"<nav><ul><li><a href=/>{say(2)}</a></li></ul></nav>", f"<aside>{say(12)}</aside>", f"<script>var a = '<p>{say(3)}</p>';</script>", f"<form><p>{say(5)}</p></form>", f'<div class="advert"><p>{say(20)}</p></div>', f'<div class="comments"><p>{say(20)}</p><p>{say(20)}</p></div>'])
+    block = lambda: rng.choice([f"<p>{inline()} {inline()}</p>", f"<h2>{say(4)}</h2><p>{inline()} {say(8)}</p>", f"<blockquote><p>{inline()}</p></blockquote>", f"<ul><li>{inline()}</li><li>{inline()}</li></ul>", f"<div><p>{inline()} {say(10)}</p></div>"])
+    for _ in range(300):
+        inside = "".join(junk() if rng.random() < 0.2 else block() for _ in range(rng.randrange(2, 9)))
+        page = f"<html><head><title>{say(3)}</title></head><body><header>{say(4)}</header>{junk()}<article><header><h1>{say(5)}</h1></header><p>{say(40)}</p>{inside}</article>{junk()}<footer><p>{say(15)}</p></footer></body></html>"
+        plain = Plain()
+        plain.feed(page)
+        plain.close()
+        assert H.main_text(page) == "\n\n".join(plain.blocks), page

@@ -2,14 +2,15 @@ import random
 import zlib
 
 import numpy as np
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 import corpus_pipeline as C
-from patternwalk.llm import packing, simhash
+from patternwalk.llm import packing
 from tests.llm.test_line_dedup import brute as brute_lines
 from tests.llm.test_mixing import reshared
+from tests.llm.test_near_texts import brute as brute_groups
 from tests.llm.test_packing import reference_ids
-from tests.llm.test_simhash import brute as brute_groups
 
 SCHEMA = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("lang", T.StringType()), T.StructField("source", T.StringType()), T.StructField("n_chars", T.LongType())])
 
@@ -38,7 +39,7 @@ def test_each_stage_against_brute_force(spark):
     assert second.columns == C.COLUMNS
     assert [(d, t) for d, t, *_ in got] == sorted((d, t) for d, t, _ in brute_lines(kept)) and all(len(t) == n for _, t, _, _, n in got)
     third = sorted(tuple(r) for r in C.near_copies(spark, spark.createDataFrame(got, SCHEMA), "").collect())
-    groups = brute_groups([simhash.fingerprint(t, 5) for _, t, *_ in got])
+    groups = brute_groups([t for _, t, *_ in got])
     assert third == [r for i, r in enumerate(got) if groups[i] == i]
     fourth = [tuple(r) for r in C.mixture(spark, spark.createDataFrame(third, SCHEMA), "").collect()]
     names = sorted({r[3] for r in third}, key=lambda s: (s is None, s or ""))
@@ -54,6 +55,32 @@ def test_each_stage_against_brute_force(spark):
         assert r.ids_crc32 == zlib.crc32(np.array(ids, "<u4").tobytes())
 
 
+def test_language_keeps_short_texts_and_rejects_unlearned_ones(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    odd = [
+        (900001, "A", None, "s", 1), (900002, "OK", "en", "s", 2), (900003, "Hello world", "en", "s", 11), (900004, "\U00020000\U00020001", None, "s", 2),
+        (900010, "Det var en g\u00e5ng en liten flicka som bodde i en stuga i skogen och hon hette R\u00f6dluvan", "sv", "s", 0),
+        (900014, "Egyszer volt hol nem volt egy kis l\u00e1ny aki az erd\u0151 sz\u00e9l\u00e9n lakott az anyj\u00e1val", "hu", "s", 0),
+    ]
+    odd = [r if r[2] in (None, "en") else (r[0], r[1], None, *r[3:]) for r in odd]
+    kept = {r.doc_id for r in C.language(spark, docs.unionByName(spark.createDataFrame(odd, SCHEMA)), "").select("doc_id").collect()}
+    assert kept >= {900001, 900002, 900003, 900004} and not kept & {900010, 900014}
+    lost = docs.where(~F.col("doc_id").isin(list(kept)) & F.col("text").rlike("\\p{L}")).count()
+    assert lost == 0
+
+
+def test_stages_with_odd_rows(spark):
+    nothing = spark.createDataFrame([], SCHEMA)
+    long = " ".join(f"w{i % 5000}" for i in range(60_000))
+    rows = [(1, None, None, None, None), (None, "one two three four five six", "aa", "s", 0), (2, "same text here " * 5, "aa", "s", 0), (2, "same text here " * 5, "aa", "s", 0), (3, long, "aa", "s", 0), (4, "", "aa", None, 0)]
+    docs = spark.createDataFrame(rows, SCHEMA).withColumns({"fp": F.lit("x"), "component_id": F.lit("y"), "line_no": F.lit("z"), "sequence_id": F.lit("w")})
+    for name, stage in C.STAGES:
+        assert stage(spark, nothing, "").count() == 0, name
+        out = stage(spark, docs, "")
+        assert name == "packed" or out.columns == C.COLUMNS
+        assert out.count() >= 1
+
+
 def test_run_over_the_smallest_tables(spark):
     got = C.run(spark, "/root/testdata/sf0.001")
     assert {"doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"} <= set(got.columns)
