@@ -550,12 +550,12 @@ def _(spark, sf_dir):
     return wide.select("vlabel", F.coalesce("`0`", F.lit(0)).alias("low"), F.coalesce("`1`", F.lit(0)).alias("high")).where(F.col("low") + F.col("high") >= 20)
 
 
-@register("support_growth", f"{_TE}, d AS (SELECT DISTINCT la, el, lb, gid FROM te) SELECT la, el, lb, gid, row_number() OVER w AS support, gid - lag(gid) OVER w AS since, ntile(2) OVER w AS half FROM d WINDOW w AS (PARTITION BY la, el, lb ORDER BY gid)")
+@register("support_growth", f"{_TE}, d AS (SELECT DISTINCT la, el, lb, gid FROM te) SELECT la, el, lb, gid, row_number() OVER w AS support, coalesce(gid - lag(gid) OVER w, -1) AS since, ntile(2) OVER w AS half FROM d WINDOW w AS (PARTITION BY la, el, lb ORDER BY gid)")
 def _(spark, sf_dir):
-    """How each edge type's support grows graph by graph, the gap since it last grew, and the half of its graphs."""
+    """How each edge type's support grows graph by graph, the gap since it last grew (-1 at first), and the half of its graphs."""
     by = Window.partitionBy("la", "el", "lb").orderBy("gid")
     own = prox(spark, sf_dir).typed_edges().select("la", F.col("elabel").alias("el"), "lb", "gid").distinct()
-    return own.select("*", F.row_number().over(by).cast("long").alias("support"), (F.col("gid") - F.lag("gid").over(by)).alias("since"), F.ntile(2).over(by).cast("long").alias("half"))
+    return own.select("*", F.row_number().over(by).cast("long").alias("support"), F.coalesce(F.col("gid") - F.lag("gid").over(by), F.lit(-1)).alias("since"), F.ntile(2).over(by).cast("long").alias("half"))
 
 
 @register("top_types_in_common", f"{_TE}, c AS (SELECT la, el, lb, count(DISTINCT gid) AS s, count(*) AS n FROM te GROUP BY la, el, lb) (SELECT la, el, lb FROM c ORDER BY s DESC, la, el, lb LIMIT 20) INTERSECT (SELECT la, el, lb FROM c ORDER BY n DESC, la, el, lb LIMIT 20)")
