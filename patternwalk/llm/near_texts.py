@@ -174,9 +174,13 @@ def near_copy_groups(docs: DataFrame, width: int = 5, threshold: float = THRESHO
     own = docs.join(bounded(copies), "doc_id", "left_anti")
     by_key = Window.partitionBy("key")
     whole = by_key.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    postings = _prefixes(own, width, threshold).select("key", "sig", "n", "at")
-    met = postings.select("*", F.min(F.struct("sig", "n", "at")).over(whole).alias("head"), F.max("sig").over(whole).alias("last"))
-    shared = cut(met.where(F.col("head.sig") != F.col("last")).drop("last"), "shared")
+    # Two columns travel as one: this is the stage's largest exchange.
+    both = F.shiftleft(F.col("n").cast("long"), 32).bitwiseOR(F.col("at").cast("long"))
+    n, at = (lambda c: F.shiftright(c, 32).cast("int")), (lambda c: F.col(c).bitwiseAND((1 << 32) - 1).cast("int"))
+    postings = _prefixes(own, width, threshold).select("key", "sig", both.alias("both"))
+    met = postings.select("*", F.min(F.struct("sig", "both")).over(whole).alias("first"), F.max("sig").over(whole).alias("last")).where(F.col("first.sig") != F.col("last"))
+    shared = met.select("key", "sig", n("both").alias("n"), at("both").alias("at"), F.struct(F.col("first.sig").alias("sig"), n("first.both").alias("n"), at("first.both").alias("at")).alias("head"))
+    shared = cut(shared, "shared", hashes=True)
     drop(copies)
 
     roots = components(near)
