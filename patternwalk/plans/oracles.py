@@ -143,7 +143,7 @@ def _draw(step: str, which: int, seed: int = 0) -> str:
 
 
 def walk(m: int, chains: int = 1, emit: str = "accepted", graphs: str = "el") -> str:
-    """The walk itself over the transition table ``tr``: first states and moves by the same counters. Gives ``smp(chain, iter, gid, vs)``."""
+    """The walk itself over the transitions of pieces of three vertices: first states and moves by the same counters. Gives ``smp(chain, iter, gid, vs)``."""
     moves = f"CASE WHEN {_draw('(w.attempt + 1)::VARCHAR', 1)} <= m.alpha THEN 1 ELSE 0 END"
     return f"""
 {schedule(m, 0, chains, graphs)},
@@ -154,9 +154,13 @@ s0 AS (SELECT w.chain, le.gid, src, dst FROM ch w JOIN le ON le.gid = w.gid WHER
 fz AS (SELECT DISTINCT s0.chain, s0.gid, src, dst, b FROM s0 JOIN sym ON sym.gid = s0.gid AND sym.a IN (src, dst) WHERE b NOT IN (src, dst)),
 fr AS (SELECT *, row_number() OVER (PARTITION BY chain, gid ORDER BY b) - 1 AS i, count(*) OVER (PARTITION BY chain, gid) AS m FROM fz),
 st AS (SELECT w.chain, w.gid, list_sort([src, dst, b]) AS vs FROM fr w WHERE i = floor({_draw("'0'", 1)} * m)),
-id AS (SELECT gid, vs, row_number() OVER (ORDER BY gid, vs) AS sid, d FROM dg),
-mo AS (SELECT x.sid, x.d, y.sid AS tid, y.d AS td, alpha, row_number() OVER (PARTITION BY x.sid ORDER BY list_filter(tr.vs, lambda z: NOT list_contains(tr.ws, z))[1], list_filter(tr.ws, lambda z: NOT list_contains(tr.vs, z))[1]) - 1 AS i
-  FROM tr JOIN id x ON x.gid = tr.gid AND x.vs = tr.vs JOIN id y ON y.gid = tr.gid AND y.vs = tr.ws),
+ix AS MATERIALIZED (SELECT gid, vs, row_number() OVER (ORDER BY gid, vs) AS sid FROM s3),
+cx AS (SELECT sid, gid, u, array_to_string(list_filter(vs, lambda y: y <> u), ',') AS core FROM (SELECT sid, gid, vs, unnest(vs) AS u FROM ix)),
+nx AS MATERIALIZED (SELECT a.sid, b.sid AS tid, a.u, b.u AS w FROM cx a JOIN cx b ON a.gid = b.gid AND a.core = b.core AND a.sid <> b.sid),
+dx AS MATERIALIZED (SELECT n.sid, n.d, sc.num, sc.den FROM (SELECT sid, count(*) AS d FROM nx GROUP BY sid) n JOIN ix ON ix.sid = n.sid JOIN sc ON sc.gid = ix.gid AND sc.vs = ix.vs),
+id AS (SELECT ix.*, d FROM ix JOIN dx USING (sid)),
+mo AS (SELECT n.sid, n.tid, y.d AS td, least(1.0::DOUBLE, (x.d * y.num * x.den)::DOUBLE / (y.d * x.num * y.den)::DOUBLE) AS alpha, row_number() OVER (PARTITION BY n.sid ORDER BY n.u, n.w) - 1 AS i
+  FROM nx n JOIN dx x ON x.sid = n.sid JOIN dx y ON y.sid = n.tid),
 mv AS MATERIALIZED (SELECT sid * 65536 + i AS move, tid, td, alpha FROM mo),
 ls AS (SELECT chain, gid, max(k) AS last FROM visits GROUP BY chain, gid),
 walk AS (SELECT st.chain, st.gid, id.sid, id.d, 0 AS attempt, 0 AS k, last FROM st JOIN id ON id.gid = st.gid AND id.vs = st.vs JOIN ls ON ls.chain = st.chain AND ls.gid = st.gid
