@@ -228,18 +228,14 @@ def test_distinct_labels_beyond_two_edges(spark):
     assert {r.n_vertices for r in B.mine_complete(paths, 2, induced=True).collect()} == {2, 3, 4, 5}
 
 
-def test_complete_experiments_have_no_edge_cap(monkeypatch):
+def test_complete_experiments_have_no_edge_cap(toy, monkeypatch):
+    """One run at the largest size and least support, every number of edges; sizes stop at 3, as the README says."""
     from patternwalk import workloads
 
-    seen = []
-
-    class Found:
-        agg = withColumn = unionByName = lambda self, *a: self
-
-    monkeypatch.setattr(workloads, "prox", lambda *a: type("D", (), {"stored": lambda self: self})())
-    monkeypatch.setattr(workloads, "F", type("F", (), {"count": lambda x: type("C", (), {"alias": lambda self, n: n})(), "lit": lambda x: x}))
-    monkeypatch.setattr(workloads, "reduce", lambda f, xs: list(xs))
-    monkeypatch.setattr(workloads.B, "mine_complete", lambda db, x, **how: seen.append((x, how)) or Found())
-    workloads.QUERIES["w1_complete_by_size"](None, "")
+    seen, mine = [], B.mine_complete
+    monkeypatch.setattr(workloads, "prox", lambda *a: type("D", (), {"stored": lambda self: toy})())
+    monkeypatch.setattr(workloads.B, "mine_complete", lambda db, x, **how: seen.append((x, how)) or mine(db, 0.6, **how))
+    by_size = {r.max_size: r.patterns for r in workloads.QUERIES["w1_complete_by_size"](None, "").collect()}
     workloads.QUERIES["w2_complete_by_support"](None, "")
-    assert seen == [(0.4, {"max_size": n}) for n in (2, 3, 4, 5)] + [(x, {"max_size": 4}) for x in (0.28, 0.22, 0.17, 0.11)]
+    assert seen == [(0.4, {"max_size": 3}), (0.11, {"max_size": 3})]
+    assert {r.n_edges for r in mine(toy, 0.6, max_size=3).collect()} == {1, 2, 3} and by_size[2] < by_size[3]
