@@ -167,10 +167,10 @@ def gelman_rubin(trace: DataFrame, value: str = "score", by: tuple[str, ...] = (
 
 
 def visit_distance(samples: DataFrame, law: DataFrame) -> DataFrame:
-    """Total variation between the visits of each graph's pieces and a law ``(gid, vs, pi)``."""
+    """Total variation between the visits of each graph's pieces and a law ``(gid, vs, pi)``; a graph without visits has none."""
     n = samples.groupBy("gid").agg(F.count("*").alias("all"))
     seen = samples.groupBy("gid", "vs").agg(F.count("*").alias("n")).join(n, "gid").select("gid", "vs", (F.col("n") / F.col("all")).alias("share"))
-    both = law.select("gid", "vs", "pi").join(seen, ["gid", "vs"], "full_outer")
+    both = law.select("gid", "vs", "pi").join(n.select("gid"), "gid", "left_semi").join(seen, ["gid", "vs"], "full_outer")
     return both.groupBy("gid").agg((F.sum(F.abs(F.coalesce("pi", F.lit(0.0)) - F.coalesce("share", F.lit(0.0)))) / 2).alias("distance"))
 
 
