@@ -3,6 +3,7 @@
 import pytest
 
 from patternwalk import workloads
+from patternwalk.operators import enumerate as E
 from patternwalk.operators import flat
 from patternwalk.operators import law as L
 from tests import toy
@@ -29,3 +30,10 @@ def test_degrees_are_the_kernels(spark, monkeypatch, most, p):
         g = toy.graph(gid)
         want |= {(gid, s): sum(m.bit_count() for _, m in g.boxes(s)) for s in g.enumerate(p)}
     assert found == want
+
+
+def test_pattern_counts_are_those_of_the_joins(spark):
+    db = toy.database(spark)
+    for p in (2, 3, 4):
+        joined = E.piece_codes(db, E.enumerate_induced(db, p), p).groupBy("code", "gid").count()
+        assert sorted(map(tuple, E.pattern_counts(db, p).collect())) == sorted(map(tuple, joined.collect()))
