@@ -6,6 +6,7 @@ from patternwalk import workloads
 from patternwalk.operators import enumerate as E
 from patternwalk.operators import flat
 from patternwalk.operators import law as L
+from patternwalk.operators import support as S
 from tests import toy
 
 SF = "/root/testdata/sf0.001"
@@ -37,3 +38,11 @@ def test_pattern_counts_are_those_of_the_joins(spark):
     for p in (2, 3, 4):
         joined = E.piece_codes(db, E.enumerate_induced(db, p), p).groupBy("code", "gid").count()
         assert sorted(map(tuple, E.pattern_counts(db, p).collect())) == sorted(map(tuple, joined.collect()))
+
+
+def test_residual_is_a_share_of_the_flow(spark):
+    """Flows grow with supports, and their rounding with them: a bound of 1e-12 must not depend on the number of graphs."""
+    S.register_score("thousands", lambda types: (7_000_003 * (1 + sum(types)), 3))
+    assert L.balance_residual(toy.database(spark), 3, "thousands").first().residual < 1e-12
+    plan = L.balance_residual(toy.database(spark), 3)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan.split("MapInArrow")[0]
