@@ -11,7 +11,7 @@ from tests import toy
 
 SF = "/root/testdata/sf0.001"
 #: Queries whose pieces must not leave their worker before they are counted or returned.
-LOCAL = ["neighbour_degree_p3", "piece_stats_p3", "piece_degrees_p3", "acceptance_p3_s1", "acceptance_p3_s2", "acceptance_p3_uniform", "acceptance_rate_p3", "asymmetric_pairs_p3", "swap_boxes_p3"]
+LOCAL = ["neighbour_degree_p3", "piece_stats_p3", "piece_degrees_p3", "acceptance_p3_s1", "acceptance_p3_s2", "acceptance_p3_uniform", "acceptance_rate_p3", "asymmetric_pairs_p3", "swap_boxes_p3", "jump_law_p3"]
 
 
 @pytest.mark.parametrize("name", LOCAL)
