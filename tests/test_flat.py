@@ -46,3 +46,8 @@ def test_residual_is_a_share_of_the_flow(spark):
     assert L.balance_residual(toy.database(spark), 3, "thousands").first().residual < 1e-12
     plan = L.balance_residual(toy.database(spark), 3)._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan.split("MapInArrow")[0]
+
+
+def test_supports_shuffle_patterns_not_pieces(spark):
+    plan = workloads.QUERIES["pattern_support_p4_coarse"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and "Join" not in plan.split("MapInArrow")[0]
