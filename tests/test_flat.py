@@ -3,6 +3,7 @@
 import pytest
 
 from patternwalk import workloads
+from patternwalk.functions import accuracy as A
 from patternwalk.operators import enumerate as E
 from patternwalk.operators import flat
 from patternwalk.operators import law as L
@@ -51,3 +52,11 @@ def test_residual_is_a_share_of_the_flow(spark):
 def test_supports_shuffle_patterns_not_pieces(spark):
     plan = workloads.QUERIES["pattern_support_p4_coarse"](spark, SF)._jdf.queryExecution().optimizedPlan().toString()
     assert "MapInArrow" in plan and "Join" not in plan.split("MapInArrow")[0]
+
+
+def test_unvisited_graphs_have_no_distance(spark):
+    samples = spark.createDataFrame([(1, [0, 1, 2]), (1, [0, 1, 2]), (1, [1, 2, 3])], "gid long, vs array<long>")
+    law = L.stationary(toy.database(spark), 3, "uniform")
+    assert [r.gid for r in A.visit_distance(samples, law).collect()] == [1]
+    only = L.stationary(toy.database(spark), 3, only=samples.select("gid"))
+    assert A.visit_distance(samples, only).collect() == A.visit_distance(samples, L.stationary(toy.database(spark), 3)).collect()
