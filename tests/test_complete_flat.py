@@ -6,7 +6,7 @@ from patternwalk import workloads
 from patternwalk.operators import complete as B
 
 SF = "/root/testdata/sf0.001"
-QUERIES = ["complete_growth", "complete_closed"]
+QUERIES = ["complete_growth", "complete_closed", "complete_maximal"]
 
 
 @pytest.mark.parametrize("name", QUERIES)
