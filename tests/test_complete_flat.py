@@ -6,7 +6,7 @@ from patternwalk import workloads
 from patternwalk.operators import complete as B
 
 SF = "/root/testdata/sf0.001"
-QUERIES = ["complete_growth", "complete_closed", "complete_maximal", "pattern_lattice_walk", "w1_complete_by_size", "w2_complete_by_support"]
+QUERIES = ["complete_growth", "complete_closed", "complete_maximal", "pattern_lattice_walk", "w1_complete_by_size", "w2_complete_by_support", "complete_levelwise"]
 
 
 @pytest.mark.parametrize("name", QUERIES)
