@@ -241,19 +241,20 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_c
 def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """``lang_pred, score, rate`` beside the id and the columns to keep."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    kept = docs.select(*dict.fromkeys([id_col, *(keep or [])]), F.col(text_col).alias("_parsed_text"))
-    names = kept.columns[:-1]
+    names = list(dict.fromkeys([id_col, *(keep or [])]))
+    kept = docs.select(*dict.fromkeys([*names, text_col]))  # texts are what fills a batch: a kept text travels once
+    at_text = kept.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shared.value
         for whole in batches:
             for at in range(0, max(1, whole.num_rows), 1024):
                 b = whole.slice(at, 1024)
-                langs, score, rate = own.predict([t or "" for t in b.column(len(names)).to_pylist()])
+                langs, score, rate = own.predict([t or "" for t in b.column(at_text).to_pylist()])
                 yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(names))), pa.array(langs, pa.string()), pa.array(score, pa.float64()), pa.array(rate, pa.float64())], names=[*names, "lang_pred", "score", "rate"])
 
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields[:-1])
-    return kept.mapInArrow(tidily(run), f"{fields}, lang_pred string, score double, rate double")
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields[: len(names)])
+    return kept.mapInArrow(tidily(run, "langid"), f"{fields}, lang_pred string, score double, rate double")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from patternwalk.llm.lean import tidily
+from patternwalk.llm.lean import keeps, tidily
 from patternwalk.llm.mixing import place
 from patternwalk.plans.scratch import cut
 
@@ -109,6 +109,7 @@ class WordTokenizer:
 
 
 _LOADED: dict[str, WordTokenizer] = {}
+keeps("packing", _LOADED.clear)
 
 
 def tokenizer(vocabulary: str) -> WordTokenizer:
@@ -148,7 +149,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULA
                     rows += [(doc, s, size, zlib.crc32(ids[4 * s : 4 * (s + size)]), n, levels) for s, size, levels in cut_levels(n, capacity)]
                 yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows)] if rows else [pa.array([], pa.int64())] * 6, schema=schema)
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidily(run), _PIECE)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(tidily(run, "packing"), _PIECE)
 
 
 def best_pattern(sizes: np.ndarray, prices: np.ndarray, room: int) -> tuple[float, np.ndarray]:

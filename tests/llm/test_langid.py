@@ -71,3 +71,20 @@ def test_empty_table_and_nothing_to_learn(spark):
     assert langid.identify(empty, langid.fit(empty)).count() == 0
     one = spark.createDataFrame([(1, "words", None, "", "")], SCHEMA)
     assert langid.identify(one, langid.fit(one)).first().lang_pred == "und"
+
+
+def test_a_kept_text_travels_once(spark):
+    docs = spark.createDataFrame([(1, "one and two", "en", "", "")], SCHEMA)
+    found = langid.identify(docs, langid.Model({}), keep=["text", "lang"])
+    assert found.columns == ["doc_id", "text", "lang", "lang_pred", "score", "rate"] and found.first().text == "one and two"
+    assert "_parsed_text" not in found._jdf.queryExecution().toString()
+
+
+def test_workers_drop_what_other_operators_keep():
+    from patternwalk.llm import lean, packing
+
+    packing._LOADED["kept"] = None
+    list(lean.tidily(lambda batches: batches, "packing")(iter([])))
+    assert "kept" in packing._LOADED
+    list(lean.tidily(lambda batches: batches, "langid")(iter([])))
+    assert not packing._LOADED
