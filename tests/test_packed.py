@@ -1,6 +1,8 @@
 from datetime import datetime, timedelta
 
-from patternwalk.model import GraphDB, pack
+import numpy as np
+
+from patternwalk.model import GraphDB, least_of_component, pack, stats
 from patternwalk.sources import builders
 
 START = datetime(2024, 1, 1)
@@ -24,3 +26,35 @@ def test_proximity_is_packed_without_a_table_of_edges(spark, tmp_path):
         plan = pack(db)._jdf.queryExecution().optimizedPlan().toString()
         assert plan.count("RepartitionByExpression") == 1 and "Join" not in plan
     assert rows(pack(db.restrict(db.vertices.where("gid = 1")))) == rows(pack(db).where("gid = 1"))
+
+
+def test_copurchase_graphs_come_from_baskets_without_a_search_in_arrays(spark, tmp_path):
+    def save(name, rows, schema):
+        spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/{name}.parquet")
+
+    save("customer", [(1, 3, "B"), (2, 3, "A"), (3, None, "A"), (4, 3, "B")], "c_custkey long, c_nationkey int, c_mktsegment string")
+    orders = [(10, 1, "2"), (11, 4, "1"), (12, 1, None), (13, 1, "2"), (20, 2, None), (21, 2, "3"), (30, 3, "1"), (40, 9, "1"), (50, 2, "1")]
+    save("orders", [(o, c, p, START) for o, c, p in orders], "o_orderkey long, o_custkey long, o_orderpriority string, o_orderdate timestamp")
+    lines = [(10, 1), (10, 2), (10, 2), (11, 1), (11, 2), (12, 2), (12, 3), (13, 7), (13, 8), (13, 99), (13, None), (20, 5), (20, 6), (21, 7), (21, 8), (30, 1), (30, 2), (40, 1), (40, 3), (50, 4)]
+    save("lineitem", lines, "l_orderkey long, l_partkey long")
+    save("part", [(k, f"b{k % 3}") for k in range(1, 9)], "p_partkey long, p_brand string")
+    db = builders.copurchase(spark, str(tmp_path))
+    assert sorted(map(tuple, db.edges.collect()), key=str) == [(300, 5, 6, None), (301, 1, 2, "1"), (301, 2, 3, None)]
+    assert sorted(map(tuple, db.vertices.collect())) == [(300, 5, "b2"), (300, 6, "b0"), (301, 1, "b1"), (301, 2, "b2"), (301, 3, "b0")]
+    assert stats(db).collect() == stats(GraphDB(db.vertices, db.edges)).collect() and stats(db).first()[:4] == (2, 5, 3, 3)
+    assert "array_position" not in pack(db)._jdf.queryExecution().optimizedPlan().toString()
+    held = db.stored()
+    assert sorted(map(str, held.packed.collect())) == sorted(map(str, pack(GraphDB(db.vertices, db.edges)).collect()))
+
+
+def test_components_by_their_least_vertex():
+    draw = np.random.default_rng(5)
+    for n, m in ((1, 0), (6, 3), (40, 25), (400, 390), (400, 0)):
+        a, b = draw.integers(0, n, m), draw.integers(0, n, m)
+        want = list(range(n))
+        for _ in range(n):
+            for x, y in zip(a, b):
+                want[x] = want[y] = min(want[x], want[y])
+        assert least_of_component(n, a, b).tolist() == want
+    chain = np.arange(100_000)
+    assert not least_of_component(100_001, chain, chain + 1).any()
