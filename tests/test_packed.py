@@ -1,11 +1,13 @@
 from datetime import datetime, timedelta
 
 import numpy as np
+import pytest
 
+from patternwalk import workloads
 from patternwalk.model import GraphDB, least_of_component, pack, stats
 from patternwalk.sources import builders
 
-START = datetime(2024, 1, 1)
+SF, START = "/root/testdata/sf0.001", datetime(2024, 1, 1)
 
 
 def _events(spark, tmp_path):
@@ -58,3 +60,15 @@ def test_components_by_their_least_vertex():
         assert least_of_component(n, a, b).tolist() == want
     chain = np.arange(100_000)
     assert not least_of_component(100_001, chain, chain + 1).any()
+
+
+@pytest.mark.parametrize("name", ["w2_complete_by_support", "w1_complete_by_size", "complete_growth", "complete_levelwise", "complete_maximal", "complete_closed", "pattern_lattice_walk"])
+def test_complete_miners_need_no_table_of_edges(spark, monkeypatch, name):
+    want = sorted(map(str, workloads.QUERIES[name](spark, SF).collect()))
+
+    def without(spark, sf_dir, alphabet="coarse"):
+        db = builders.proximity(spark, sf_dir, alphabet)
+        return GraphDB(db.vertices, None, packed=db.packed)
+
+    monkeypatch.setattr(workloads, "prox", without)
+    assert sorted(map(str, workloads.QUERIES[name](spark, SF).collect())) == want and want
