@@ -5,6 +5,7 @@ import pytest
 
 from patternwalk import workloads
 from patternwalk.model import GraphDB, least_of_component, pack, stats
+from patternwalk.operators import flat
 from patternwalk.sources import builders
 
 SF, START = "/root/testdata/sf0.001", datetime(2024, 1, 1)
@@ -72,3 +73,16 @@ def test_complete_miners_need_no_table_of_edges(spark, monkeypatch, name):
 
     monkeypatch.setattr(workloads, "prox", without)
     assert sorted(map(str, workloads.QUERIES[name](spark, SF).collect())) == want and want
+
+
+def test_edge_sets_with_all_their_vertices_grow_without_a_look_at_other_edges(monkeypatch):
+    a, b = np.array([0, 0, 1, 2, 3, 1]), np.array([1, 2, 2, 3, 4, 4])
+    chunk = flat.Chunk(np.array([1]), np.zeros(5, int), np.arange(5), np.zeros(5, int), ["v"], a, b, np.zeros(6, int), ["e"])
+    live = np.array([True, True, True, True, True, False])
+    pairs = chunk.grown([np.flatnonzero(live)], live, 3)
+    assert list(zip(*map(list, pairs))) == [(0, 1), (0, 2), (1, 2), (1, 3), (2, 3), (3, 4)]
+    looked = []
+    whole = flat.spread
+    monkeypatch.setattr(flat, "spread", lambda counts: looked.append(int(np.sum(counts))) or whole(counts))
+    assert [list(c) for c in chunk.grown(pairs, live, 3)] == [[0], [1], [2]]
+    assert sum(looked) == 0
