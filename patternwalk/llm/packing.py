@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from patternwalk.llm.lean import keeps, tidily
+from patternwalk.llm.lean import keeps, small_batches, tidily
 from patternwalk.llm.mixing import place
 from patternwalk.plans.scratch import cut
 
@@ -259,7 +259,9 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, vocabulary: str = VOCABULARY
     """``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, sequence_tokens, padded_tokens`` for each piece."""
     spark = docs.sparkSession
     grade = F.ceil(F.col("length") / F.lit(GRAIN)).cast("int")
-    every = cut(pieces(docs, capacity, vocabulary, id_col, text_col), "pieces").withColumn("grade", grade).withColumn("place", place("doc_id", seed))
+    with small_batches(spark):
+        held = cut(pieces(docs, capacity, vocabulary, id_col, text_col), "pieces")
+    every = held.withColumn("grade", grade).withColumn("place", place("doc_id", seed))
     sums = every.groupBy("grade", "levels").agg(F.count("*").alias("n"), F.sum("length").alias("tokens")).collect()
     room, best = capacity // GRAIN, None
     for level in range(LEVELS):

@@ -41,6 +41,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from patternwalk.llm.lean import small_batches
 from patternwalk.plans.scratch import cut, drop
 
 #: The bits of each byte value, most significant first.
@@ -254,7 +255,8 @@ def near_duplicate_groups(docs: DataFrame, width: int = 4, radius: int = 4, id_c
     if threshold is not None:
         from patternwalk.llm.near_texts import near_copy_groups
 
-        return near_copy_groups(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), width, threshold, radius)
+        with small_batches(docs.sparkSession):  # its result is a cut table, so all of it runs in here
+            return near_copy_groups(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), width, threshold, radius)
     prints = cut(fingerprints(docs, width, id_col, text_col), "prints")
     nodes = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "nodes")
     roots = components(links(nodes, radius))

@@ -6,7 +6,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 import corpus_pipeline as C
-from patternwalk.llm import packing
+from patternwalk.llm import near_texts, packing
+from patternwalk.plans.scratch import cut
 from tests.llm.test_line_dedup import brute as brute_lines
 from tests.llm.test_mixing import reshared
 from tests.llm.test_near_texts import brute as brute_groups
@@ -86,3 +87,19 @@ def test_run_over_the_smallest_tables(spark):
     assert {"doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"} <= set(got.columns)
     assert got.count() > 50
     assert packing.CAPACITY == 4096
+
+
+def test_texts_and_sets_go_to_workers_in_small_batches(spark, monkeypatch):
+    """Packing and near-copies hold few rows at once in a worker, and leave the session's setting as it was."""
+    setting = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before, seen = spark.conf.get(setting), {}
+
+    def noted(df, name, *args, **options):
+        seen[name] = int(spark.conf.get(setting))
+        return cut(df, name, *args, **options)
+
+    monkeypatch.setattr(packing, "cut", noted)
+    monkeypatch.setattr(near_texts, "cut", noted)
+    docs = spark.createDataFrame([(i, "a b c d e f g", "aa", "s", 0) for i in range(3)], SCHEMA)
+    assert packing.pack(docs).count() == 3 and C.near_copies(spark, docs, "").count() == 1
+    assert all(seen[name] <= 1024 for name in ("pieces", "sigs", "shared", "sets")) and spark.conf.get(setting) == before
