@@ -99,3 +99,12 @@ def test_pairs_of_a_family_grow_with_its_lines(spark, monkeypatch):
     got = line_dedup.dedup_lines(spark.createDataFrame(rows, SCHEMA)).collect()
     assert sorted((r.doc_id, r.text, r.n_removed) for r in got) == sorted(brute(rows))
     assert sum(made) < 20 * len(rows)  # all pairs: 179,700
+
+
+def test_every_word_of_every_document_is_counted(spark):
+    """Whatever its case, line, white space or document's id."""
+    texts = ["Common word", "one\ncommon\ttwo", "COMMON", "three\ncommon\nfour"] * 16
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    levels = line_dedup.rarity(docs).first().levels
+    slot = lambda w: spark.sql(f"SELECT xxhash64('{w}')").first()[0] & (line_dedup.COUNTED - 1)
+    assert [levels[slot(w)] for w in ("common", "word", "one", "two", "three", "four")] == [6, 4, 4, 4, 4, 4]
