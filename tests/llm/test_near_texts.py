@@ -71,3 +71,14 @@ def test_many_near_copies_and_common_shingles(spark, monkeypatch):
 
 def test_nothing(spark):
     assert N.near_copy_groups(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
+def test_shingles_of_every_text_are_counted(spark):
+    """The order is by rarity among all texts, whatever their ids and however few have a shingle."""
+    phrase, own = "a phrase that is common here", "b phrase that two have"
+    texts = [f"{phrase} {own if i in (7, 23) else f'and x{i} y{i} z{i} w{i}'}" for i in range(40)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    counts = N._counts(N._facts(docs, 5))
+    of = lambda text: counts[N._bucket(N.shingles(text))].tolist()
+    assert of("a phrase that is common") == [40] and of(own) == [2] and of("and x3 y3 z3 w3") == [1]
+    assert counts.sum() == sum(len(N.shingles(t)) for t in texts)
