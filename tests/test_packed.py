@@ -86,3 +86,30 @@ def test_edge_sets_with_all_their_vertices_grow_without_a_look_at_other_edges(mo
     monkeypatch.setattr(flat, "spread", lambda counts: looked.append(int(np.sum(counts))) or whole(counts))
     assert [list(c) for c in chunk.grown(pairs, live, 3)] == [[0], [1], [2]]
     assert sum(looked) == 0
+
+
+def test_order_stars_are_packed_from_their_lines(spark, tmp_path):
+    """As from tables of vertices and edges, where keys are missing as well; types and masks are those of all graphs."""
+    from patternwalk.operators import support as S
+
+    def save(name, rows, schema):
+        spark.createDataFrame(rows, schema).write.parquet(f"{tmp_path}/{name}.parquet")
+
+    save("customer", [(1, "B"), (2, None)], "c_custkey long, c_mktsegment string")
+    save("orders", [(10, 1, "2"), (11, 2, "1"), (12, 9, None), (13, None, "2"), (14, 1, "3")], "o_orderkey long, o_custkey long, o_orderpriority string")
+    lines = [(10, 1, 1, "N", "O"), (10, 1, 2, "N", "O"), (10, 2, 1, "R", None), (11, 1, 1, "A", "F"), (12, 9, 9, "A", "F"), (13, None, None, "A", "F"), (99, 1, 1, "A", "F"), (None, 1, 1, "A", "F")]
+    save("lineitem", lines, "l_orderkey long, l_partkey long, l_suppkey long, l_returnflag string, l_linestatus string")
+    save("part", [(1, "x"), (2, None)], "p_partkey long, p_type string")
+    save("supplier", [(1, 5), (2, 6)], "s_suppkey long, s_nationkey long")
+    save("nation", [(5, 0), (6, 1)], "n_nationkey long, n_regionkey long")
+    rows = lambda d: sorted(map(repr, d.collect()))
+    for sf_dir in (str(tmp_path), SF):
+        db = builders.order_star(spark, sf_dir)
+        whole = GraphDB(db.vertices, db.edges)
+        assert rows(db.packed) == rows(pack(whole)) and rows(db.graphs()) == rows(whole.graphs())
+    types = S.edge_support(whole)
+    pairs = S.placed_types(db.packed)
+    assert rows(S.numbered_types(pairs)) == rows(types)
+    old, new = S.score_table(whole, types, "s2"), S.placed_scores(db, types, pairs)
+    ks = range(len(old.support))
+    assert old.support == new.support and [old.of([a, b]) for a in ks for b in ks] == [new.of([a, b]) for a in ks for b in ks]
